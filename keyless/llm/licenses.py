@@ -196,7 +196,10 @@ def scan(docs: DataFrame, text: str = "text") -> DataFrame:
             (s["covered"] + F.greatest(F.lit(0).cast("bigint"), end - F.greatest(s["end"], d["start"]))).alias("covered"),
         )
 
-    places = F.flatten(F.array(*[F.transform(_positions(norm, F.lit(f" {p}(?= )")), lambda i, label=label: F.struct(i.alias("at"), F.lit(label).alias("label"))) for p, label in BASE]))
+    def based(phrase: str, label: str) -> Column:
+        return F.transform(_positions(norm, F.lit(f" {phrase}(?= )")), lambda i: F.struct(i.alias("at"), F.lit(label).alias("label")))
+
+    places = F.concat(*[based(p, label) for p, label in BASE])
     fourth = third.withColumn("kept", F.when(F.size("found") > 0, F.aggregate("found", state, step))).withColumn("base", F.when(norm.isNotNull(), places))
     base_labels = F.coalesce(F.transform("base", lambda b: b["label"]), F.array().cast("array<string>"))
     all_labels = F.concat(base_labels, F.coalesce(F.transform("kept.kept", lambda d: d["label"]), F.array().cast("array<string>")))
