@@ -1,7 +1,7 @@
 """License and copyright detection by ordered signature rules, in DataFrame expressions only.
 
-A text is reduced to its words (ASCII case folded) with one blank before and after each.  One expression tests whether any
-keyword can stand in the text; for the few texts that pass, each rule whose own keyword is there is matched.  Detections are
+A text is reduced to its words (ASCII case folded) with one blank before and after each.  Its words are met with the keywords of
+all rules once; where some are found, the rules that have one of them are matched.  Detections are
 intervals of words.  In the order of their starts, longer ones first, a detection inside an earlier kept one goes unless its rule
 has a higher priority (a smaller number).  The three base phrases are counted apart and always give their labels.
 
@@ -20,7 +20,7 @@ from keyless.llm.workspace import table
 SEPARATOR = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 BASE = [("cc by", "cc-by"), ("general public license", "gpl"), ("all rights reserved", "reserved")]
 
-#: Rules by hand: (label, priority, keyword, expression over words).  Priorities: 1 an exact identifier or a versioned name, 2 the
+#: Rules by hand: (label, priority, keywords, expression over words); one of the keywords is a word of whatever the expression matches.  Priorities: 1 an exact identifier or a versioned name, 2 the
 #: name of a license, 3 a sentence of its text, 4 a notice, 5 a hint.
 BY_HAND = [
     ("mit", 2, "mit", "(?:the )?mit (?:x11 )?licen[sc]e"),
@@ -36,7 +36,7 @@ BY_HAND = [
     ("bsd", 3, "redistribution", "redistribution and use in source and binary forms with or without modification are permitted"),
     ("bsd-3-clause", 3, "endorse", "neither the name of (?:\\S+ ){1,12}?nor the names of its contributors may be used to endorse or promote products"),
     ("bsd-4-clause", 3, "advertising", "all advertising materials mentioning features or use of this software must display the following acknowledg(?:e)?ment"),
-    ("0bsd", 1, "0bsd", "0bsd|bsd zero clause(?: licen[sc]e)?"),
+    ("0bsd", 1, "0bsd|bsd", "0bsd|bsd zero clause(?: licen[sc]e)?"),
     ("apache", 2, "apache", "(?:the )?apache (?:software )?licen[sc]e"),
     ("apache-2.0", 3, "apache", "you may not use this file except in compliance with the licen[sc]e you may obtain a copy of the licen[sc]e at http(?:s)? www apache org licenses licen[sc]e 2 0"),
     ("apache-2.0", 3, "compliance", "you may not use this file except in compliance with the licen[sc]e"),
@@ -50,7 +50,7 @@ BY_HAND = [
     ("agpl", 2, "affero", "(?:the )?(?:gnu )?affero general public licen[sc]e"),
     ("gfdl", 2, "documentation", "(?:the )?(?:gnu )?free documentation licen[sc]e"),
     ("mpl", 2, "mozilla", "(?:the )?mozilla public licen[sc]e"),
-    ("mpl", 3, "source code form", "this source code form is subject to the terms of the mozilla public licen[sc]e"),
+    ("mpl", 3, "mozilla", "this source code form is subject to the terms of the mozilla public licen[sc]e"),
     ("epl", 2, "eclipse", "(?:the )?eclipse (?:public|distribution) licen[sc]e"),
     ("cddl", 2, "common", "(?:the )?common development and distribution licen[sc]e"),
     ("cpl", 2, "common", "(?:the )?common public licen[sc]e"),
@@ -65,17 +65,17 @@ BY_HAND = [
     ("boost", 2, "boost", "(?:the )?boost software licen[sc]e"),
     ("unlicense", 2, "unlicense", "(?:the )?unlicense"),
     ("unlicense", 3, "unencumbered", "this is free and unencumbered software released into the public domain"),
-    ("wtfpl", 2, "what the", "do what the f\\S* you want to public licen[sc]e"),
+    ("wtfpl", 2, "want", "do what the f\\S* you want to public licen[sc]e"),
     ("wtfpl", 1, "wtfpl", "wtfpl"),
-    ("beerware", 2, "beer", "(?:the )?beer ?ware licen[sc]e"),
-    ("psf", 2, "python", "(?:the )?python software foundation licen[sc]e|(?:the )?psf licen[sc]e"),
+    ("beerware", 2, "beer|beerware", "(?:the )?beer ?ware licen[sc]e"),
+    ("psf", 2, "python|psf", "(?:the )?python software foundation licen[sc]e|(?:the )?psf licen[sc]e"),
     ("php", 2, "php", "(?:the )?php licen[sc]e"),
     ("ruby", 2, "ruby", "ruby licen[sc]e|under the same terms as ruby"),
     ("openssl", 2, "openssl", "openssl licen[sc]e"),
     ("openssl", 3, "openssl", "this product includes software developed by the openssl project"),
     ("ofl", 2, "font", "(?:the )?(?:sil )?open font licen[sc]e"),
     ("ms-pl", 2, "microsoft", "microsoft (?:public|reciprocal) licen[sc]e"),
-    ("osl", 2, "open software", "open software licen[sc]e"),
+    ("osl", 2, "software", "open software licen[sc]e"),
     ("afl", 2, "academic", "academic free licen[sc]e"),
     ("upl", 2, "universal", "universal permissive licen[sc]e"),
     ("ncsa", 2, "ncsa", "(?:university of illinois )?ncsa open source licen[sc]e"),
@@ -97,17 +97,17 @@ BY_HAND = [
     ("busl", 2, "business", "business source licen[sc]e"),
     ("commons-clause", 2, "clause", "commons clause"),
     ("proprietary", 3, "proprietary", "(?:this (?:software|document) is )?(?:confidential and )?proprietary(?: and confidential)?"),
-    ("proprietary", 3, "reproduction", "unauthori[sz]ed (?:copying|reproduction|distribution|use)(?: \\S+){0,8}? (?:is )?(?:strictly )?prohibited"),
+    ("proprietary", 3, "unauthorized|unauthorised", "unauthori[sz]ed (?:copying|reproduction|distribution|use)(?: \\S+){0,8}? (?:is )?(?:strictly )?prohibited"),
     ("reserved", 4, "reserved", "all rights reserved"),
     ("reserved", 5, "reserved", "some rights reserved|no rights reserved"),
     ("copyright", 4, "copyright", "copyright (?:c )?(?:19|20)\\d\\d(?: (?:19|20)\\d\\d)*"),
     ("copyright", 5, "copyright", "copyright(?: c)?"),
-    ("licensed", 5, "licens", "licensed (?:under|to)(?: the)?"),
-    ("licensed", 5, "licens", "see (?:the )?(?:accompanying )?(?:file )?(?:licen[sc]e|copying)(?: file)?(?: for (?:more )?details)?"),
-    ("trademark", 5, "trademark", "(?:registered )?trademarks?(?: of)?"),
-    ("no-warranty", 4, "warrant", "without warrant(?:y|ies)(?: or conditions)? of any kind"),
+    ("licensed", 5, "licensed", "licensed (?:under|to)(?: the)?"),
+    ("licensed", 5, "see", "see (?:the )?(?:accompanying )?(?:file )?(?:licen[sc]e|copying)(?: file)?(?: for (?:more )?details)?"),
+    ("trademark", 5, "trademark|trademarks", "(?:registered )?trademarks?(?: of)?"),
+    ("no-warranty", 4, "without", "without warrant(?:y|ies)(?: or conditions)? of any kind"),
     ("no-warranty", 4, "liable", "in no event shall (?:\\S+ ){1,12}?be liable"),
-    ("non-commercial", 4, "commercial", "for non ?commercial (?:use|purposes?)(?: only)?"),
+    ("non-commercial", 4, "commercial|noncommercial", "for non ?commercial (?:use|purposes?)(?: only)?"),
     ("patent", 4, "patent", "patent (?:licen[sc]e|grant)"),
     ("attribution", 5, "attribution", "attribution (?:is )?required"),
 ]
@@ -132,16 +132,16 @@ def rules() -> list[tuple[str, int, str, str]]:
             # "3 0" is also written "3"
             loose = v.removesuffix(" 0") + "(?: 0)?" if v.endswith(" 0") else v
             out.append((f"{label}-{number}", 1, long.split(" ")[0], f"(?:the )?(?:gnu )?{long} licen[sc]e(?: as published by the free software foundation either)? (?:version |v )?v?{loose}(?: (?:or|and) (?:any |\\(at your option\\) )?later(?: versions?)?)?"))
-            out.append((f"{label}-{number}", 1, short, f"{short} ?v?{loose}(?: (?:only|or later))?"))
+            out.append((f"{label}-{number}", 1, f"{short}|{short}{v[0]}|{short}v{v[0]}", f"{short} ?v?{loose}(?: (?:only|or later))?"))
     names = {"": "", "sa": "share ?alike", "nc": "non ?commercial", "nd": "no deriv(?:ative)?s?(?: works)?"}
     for parts in (("sa",), ("nc",), ("nd",), ("nc", "sa"), ("nc", "nd"), ()):
         label = "-".join(("cc-by", *parts))
-        out.append((label, 2, "cc by", " ".join(("cc by", *parts))))
+        out.append((label, 2, "cc", " ".join(("cc by", *parts))))
         out.append((label, 2, "creative", " ".join(("creative commons attribution", *(names[p] for p in parts)))))
         out.append((label, 2, "creativecommons", " ".join(("creativecommons org licenses by", *parts))))
         for v in ("1 0", "2 0", "2 5", "3 0", "4 0"):
             number = v.replace(" ", ".")
-            out.append((f"{label}-{number}", 1, "cc by", " ".join(("cc by", *parts, v))))
+            out.append((f"{label}-{number}", 1, "cc", " ".join(("cc by", *parts, v))))
             out.append((f"{label}-{number}", 1, "creative", " ".join(("creative commons attribution", *(names[p] for p in parts), f"(?:licen[sc]e )?{v}(?: (?:international|unported|generic))?"))))
             out.append((f"{label}-{number}", 1, "creativecommons", " ".join(("creativecommons org licenses by", *parts, v))))
     for n, word in ((2, "two"), (3, "three"), (4, "four")):
@@ -162,19 +162,22 @@ def _positions(norm: Column, expression: Column) -> Column:
 def scan(docs: DataFrame, text: str = "text") -> DataFrame:
     """(n_words, n_base, first_word, last_word, base_labels, labels, score, detections) after the columns of ``docs``."""
     own = ["n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score", "detections"]
-    table_ = [(label, rank, order, key, f" (?:{body})(?= )") for order, (label, rank, key, body) in enumerate(rules())]
-    gate = "(?i)" + "|".join(sorted({k.replace(" ", SEPARATOR) for _, _, _, k, _ in table_} | {p.replace(" ", SEPARATOR) for p, _ in BASE}))
+    table_ = [(label, rank, order, key.split("|"), f" (?:{body})(?= )") for order, (label, rank, key, body) in enumerate(rules())]
+    known = sorted({k for *_, keys, _ in table_ for k in keys} | {p.split(" ")[0] for p, _ in BASE})
     row = [c for c in docs.columns if c.lower() not in own]
     words = F.trim(F.regexp_replace(F.coalesce(F.col(text), F.lit("")), SEPARATOR, " "))
     first = docs.select(F.struct(*row).alias("row"), words.alias("plain"))
     blanks = lambda c: (F.length(c) - F.length(F.replace(c, F.lit(" "), F.lit("")))).cast("long")
     first = first.withColumn("n_words", F.when(F.length("plain") == 0, F.lit(0).cast("long")).otherwise(blanks(F.col("plain")) + 1))
     folded = F.translate(F.concat(F.lit(" "), F.col("plain"), F.lit(" ")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    first = first.select("row", "n_words", F.when(F.col("plain").rlike(gate), folded).alias("norm"))
+    # Unicode folding finds at least what ASCII folding does
+    have = F.array_intersect(F.split(F.lower("plain"), " ", -1), F.array(*map(F.lit, known)))
+    first = first.withColumn("have", have)
+    first = first.select("row", "n_words", F.when(F.size("have") > 0, F.col("have")).alias("have"), F.when(F.size("have") > 0, folded).alias("norm"))
     norm = F.col("norm")
-    kind = "array<struct<label:string,priority:int,rule:int,key:string,body:string>>"
+    kind = "array<struct<label:string,priority:int,rule:int,keys:array<string>,body:string>>"
     literal = F.from_json(F.lit(_json(table_)), kind)
-    hits = F.filter(literal, lambda r: F.contains(norm, r["key"]) & F.regexp_like(norm, r["body"]))
+    hits = F.filter(literal, lambda r: F.arrays_overlap(r["keys"], F.col("have")) & F.regexp_like(norm, r["body"]))
     second = first.withColumn("hits", F.when(norm.isNotNull(), hits))
 
     def found(r: Column) -> Column:
@@ -208,15 +211,15 @@ def scan(docs: DataFrame, text: str = "text") -> DataFrame:
         "row.*", "n_words", F.coalesce(F.size("base"), F.lit(0)).cast("long").alias("n_base"),
         F.array_min(F.transform("base", lambda b: b["at"])).alias("first_word"), F.array_max(F.transform("base", lambda b: b["at"])).alias("last_word"),
         joined(base_labels).alias("base_labels"), joined(all_labels).alias("labels"),
-        F.coalesce(F.least(F.lit(1.0), F.col("kept.covered") / F.col("n_words")), F.lit(0.0)).alias("score"),
+        F.when(F.col("kept").isNotNull(), F.least(F.lit(1.0), F.col("kept.covered") / F.col("n_words"))).otherwise(0.0).alias("score"),
         F.transform("kept.kept", lambda d: F.struct(d["label"].alias("label"), d["start"].alias("first_word"), (d["start"] - d["minus"]).alias("end_word"), d["priority"].alias("priority"))).alias("detections"),
     )
 
 
-def _json(table_: list[tuple[str, int, int, str, str]]) -> str:
+def _json(table_: list[tuple[str, int, int, list[str], str]]) -> str:
     import json
 
-    return json.dumps([{"label": a, "priority": b, "rule": c, "key": d, "body": e} for a, b, c, d, e in table_])
+    return json.dumps([{"label": a, "priority": b, "rule": c, "keys": d, "body": e} for a, b, c, d, e in table_])
 
 
 def op5_signature_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -240,9 +240,9 @@ def slow_scan(text):
     norm = " " + " ".join(w) + " "
     found = []
     for order, (label, rank, key, body) in enumerate(licenses.rules()):
-        if key in norm:
-            for m in re.finditer(f" (?:{body})(?= )", norm):
-                found.append((norm[: m.start()].count(" "), -m[0].count(" "), rank, order, label))
+        for m in re.finditer(f" (?:{body})(?= )", norm):
+            assert set(key.split("|")) & set(m[0].split()), (key, m[0])
+            found.append((norm[: m.start()].count(" "), -m[0].count(" "), rank, order, label))
     kept, end, top = [], -1, 0
     for start, minus, rank, order, label in sorted(found):
         inside = start - minus <= end
@@ -257,10 +257,11 @@ def test_licenses_rules(spark, edge):
     texts = [
         "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License.", "SPDX-License-Identifier: MIT", "This work is CC BY-SA 4.0",
         "GNU Lesser General Public License version 2.1 or later", "Copyright (c) 2019 2020 Someone. All rights reserved.", "nothing to see here", "Redistribution and use in source and binary forms, with or without modification, are permitted",
-        "http://creativecommons.org/licenses/by-nc/3.0/ cc by cc by cc by", "released into the public domain; do what the fsck you want to public license",
+        "http://creativecommons.org/licenses/by-nc/3.0/ cc by cc by cc by", "GPLv3 gpl v2 gpl3 agplv3 mpl 2.0 beerware license psf license unauthorised copying prohibited for noncommercial use trademarks of", "released into the public domain; do what the fsck you want to public license",
     ]
     out = licenses.scan(spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")).orderBy("doc_id").collect()
     assert [r["labels"] for r in out] == [slow_scan(t) for t in texts]
+    assert out[5]["score"] == 0 and out[1]["score"] == 1
     assert out[1]["labels"] == "mit" and "apache-2.0" in out[0]["labels"] and out[5]["labels"] == "" and "cc-by-sa-4.0" in out[2]["labels"]
     assert len(licenses.rules()) > 200
     kept = licenses.scan(spark.read.parquet(f"{edge}/documents.parquet"))
