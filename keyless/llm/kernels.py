@@ -8,7 +8,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLAB = 2 << 20
+SLAB = 1 << 20
 _BASE = 0x9E3779B97F4A7C15
 _POW = np.ones(1, np.uint64)
 _INV = np.ones(1, np.uint64)

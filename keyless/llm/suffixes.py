@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from keyless.llm.workspace import Workspace
 
-RUN = 150_000
+RUN = 30_000
 RUNS = "dest int, run long, shared binary, tails binary, ids binary, places binary, twins binary"
 
 

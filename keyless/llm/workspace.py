@@ -28,8 +28,14 @@ def shared_dir(spark: SparkSession) -> str:
     return _OWN[app]
 
 
+BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+ROWS = 1000
+
+
 def ship(spark: SparkSession) -> None:
-    """Give the package to the Python workers, once for an application."""
+    """Give the package to the Python workers, once for an application, and keep Arrow batches of whole texts small."""
+    if not 0 < int(spark.conf.get(BATCH)) <= ROWS:
+        spark.conf.set(BATCH, str(ROWS))
     app = spark.sparkContext.applicationId
     if app in _SHIPPED:
         return
