@@ -28,9 +28,14 @@ from keyless.llm.components import connected
 from keyless.llm.workspace import Workspace, table
 
 U = np.uint64
-BUCKETS = 1 << 18
+BUCKETS = 1 << 20
 SHARDS = 64
-MOST_MATCHES = 4
+#: Numbers of shared shingles that a prefix can be made for.
+MATCHES = (1, 2, 4, 8, 16, 32, 64)
+#: Chance that a shingle that looks rare stands in another text too, through a passage that both have.
+PASSAGE = 0.3
+#: Row numbers that may be broadcast, 8 bytes each.
+BROADCAST_ROWS = 100_000
 
 
 def node_ids(h: np.ndarray, offs: np.ndarray) -> np.ndarray:
@@ -46,7 +51,7 @@ def profile(docs: DataFrame, width: int) -> DataFrame:
     """(rid, doc_id, n, node) for each row and, with rid null, the counters of a task in SHARDS parts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros(BUCKETS, np.int64)
+        counts = np.zeros(BUCKETS, np.int32)
         names = ["rid", "doc_id", "n", "node", "counts"]
         for batch in batches:
             for i, j, buf, offs in K.slabs(batch.column(2)):
@@ -63,17 +68,17 @@ def profile(docs: DataFrame, width: int) -> DataFrame:
 def counters(rows: DataFrame) -> np.ndarray:
     """The counters of all tasks, summed on the executors; their number does not depend on the corpus."""
 
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def add(batches: Iterator[pa.RecordBatch], kind: type = np.int64) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
         for batch in batches:
             for k, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                total[k] = total.get(k, 0) + np.frombuffer(raw, np.int64)
+                total[k] = total.get(k, 0) + np.frombuffer(raw, kind)
         if total:
             yield pa.RecordBatch.from_arrays([pa.array(list(total)), pa.array([x.tobytes() for x in total.values()], pa.binary())], names=["n", "counts"])
 
     out = np.zeros((SHARDS, BUCKETS // SHARDS), np.int64)
     # one partial sum in each task before the parts meet
-    for r in rows.filter("rid is null").select("n", "counts").mapInArrow(add, "n long, counts binary").repartition(SHARDS, "n").mapInArrow(add, "n long, counts binary").collect():
+    for r in rows.filter("rid is null").select("n", "counts").mapInArrow(lambda x: add(x, np.int32), "n long, counts binary").repartition(SHARDS, "n").mapInArrow(add, "n long, counts binary").collect():
         out[r["n"]] = np.frombuffer(r["counts"], np.int64)
     return out.ravel()
 
@@ -86,10 +91,10 @@ def choose(n: np.ndarray, at: np.ndarray, estimate: np.ndarray, percent: int) ->
     need = -(-percent * n // 100)
     total = np.concatenate([[0.0], np.cumsum(estimate)])
     best, least = np.ones(len(n), np.int64), np.full(len(n), np.inf)
-    for m in range(1, MOST_MATCHES + 1):
+    for m in MATCHES:
         size = np.minimum(n - need + m, n)
         lists = total[at[:-1] + size] - total[at[:-1]]
-        cost = 4.0 * size + lists + n * lists / (np.maximum(size, 1) * m) / 8.0
+        cost = 4.0 * size + lists + n / 8 * (lists + PASSAGE * size) / m
         take = (m <= np.maximum(need, 1)) & (cost < least)
         best, least = np.where(take, m, best), np.where(take, cost, least)
     return best, np.minimum(n - need + best, n)
@@ -164,32 +169,53 @@ def groups(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFr
     spark = docs.sparkSession
     ws = Workspace(spark, "jaccard")
     rows = ws.keep(profile(docs, width), "profile")
+    short = F.shiftrightunsigned("token", 24)
     lists = ws.keep(prefixes(docs, counters(rows), width, percent), "prefixes")
-    ends = lists.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.min_by("n", "node").alias("lo_n"), F.max_by("n", "node").alias("hi_n")).filter("lo < hi")
-    ends = ws.keep(ends, "ends")
-    live = ws.keep(lists.join(ends, "token").groupBy("token", "node").agg(*[F.min(c).alias(c) for c in ("n", "l", "lo", "hi", "lo_n", "hi_n")]), "lists")
-    ws.drop("prefixes")
-    active = live.select("node").distinct()
-    one = rows.filter("rid is not null").groupBy("node").agg(F.min("rid").alias("rid"))
-    chosen = ws.keep(one.join(active, "node", "left_semi").select("rid"), "active")
-    sets = ws.keep(whole_sets(docs.join(chosen, "rid", "left_semi"), width), "sets")
-    near = lambda x, y: 100 * F.least(x, y) >= percent * F.greatest(x, y)
-    star = live.filter("lo != node").filter(near(F.col("n"), F.col("lo_n"))).select(F.col("lo").alias("a"), F.col("node").alias("b"))
-    star = star.unionAll(live.filter("hi != node").filter(near(F.col("n"), F.col("hi_n"))).select(F.col("node").alias("a"), F.col("hi").alias("b")))
-    tested = ws.keep(star.distinct(), "star")
-    links = ws.keep(verify(tested, sets, percent), "links-1")
+    # a token that stands once links nothing; 40 bits of it are enough to leave out nearly all of those
+    twice = ws.keep(lists.groupBy(short.alias("short")).count().filter("count > 1").select("short"), "twice")
+    live = ws.keep(lists.withColumn("short", short).join(twice, "short", "left_semi").groupBy("token", "node").agg(F.min("n").alias("n"), F.min("l").alias("l")), "lists")
+    for name in ("prefixes", "twice"):
+        ws.drop(name)
+    own = ws.keep(live.groupBy("node").agg(F.min("n").alias("n"), F.min("l").alias("l"), F.array_sort(F.collect_list("token")).alias("tokens")), "own")
+    ends = ws.keep(live.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).filter("lo < hi"), "ends")
+    star = live.select("token", "node").join(ends, "token").select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("node").alias("b")), F.struct(F.col("node").alias("a"), F.col("hi").alias("b")))).alias("p")).select("p.*").filter("a != b")
+    tested = ws.keep(matched(ws.keep(star.distinct(), "star"), own, percent), "tested")
+
+    def checked(pairs: DataFrame, step: str) -> DataFrame:
+        """The pairs that hold on the whole sets; sets are made of the texts that the pairs name."""
+        nodes = pairs.select(F.col("a").alias("node")).unionAll(pairs.select(F.col("b").alias("node"))).distinct()
+        one = rows.filter("rid is not null").join(nodes, "node", "left_semi").groupBy("node").agg(F.min("rid").alias("rid"))
+        chosen = ws.keep(one.select("rid"), f"chosen-{step}")
+        few = chosen.count() <= BROADCAST_ROWS
+        sets = ws.keep(whole_sets(docs.join(F.broadcast(chosen) if few else chosen, "rid", "left_semi"), width), f"sets-{step}")
+        out = ws.keep(verify(pairs, sets, percent), f"links-{step}")
+        ws.drop(f"sets-{step}")
+        return out
+
+    links = checked(tested, "1")
     first = ws.keep(connected(links, ws, "first"), "first")
-    lists_ = ws.keep(live.select("token", "node", "n", "l").join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "marked")
+    lists_ = ws.keep(live.join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "marked")
     mixed = ws.keep(lists_.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y").select("token"), "mixed")
-    left = lists_.join(mixed, "token", "left_semi").select("token", "node", "n", "l", "component")
-    right = left.select("token", *[F.col(c).alias(f"{c}_b") for c in ("node", "n", "l", "component")])
-    met = left.join(right, (left["token"] == right["token"]) & (F.col("node") < F.col("node_b")) & (F.col("component") != F.col("component_b")) & near(F.col("n"), F.col("n_b")))
+    left = ws.keep(lists_.join(mixed, "token", "left_semi").select("token", "node", "n", "l", "component"), "open")
+    right = left.select(F.col("token").alias("token_b"), *[F.col(c).alias(f"{c}_b") for c in ("node", "n", "l", "component")])
+    met = left.join(right, (F.col("token") == F.col("token_b")) & (F.col("node") < F.col("node_b")) & (F.col("component") != F.col("component_b")) & _near(F.col("n"), F.col("n_b"), percent))
     counted = met.groupBy(F.col("node").alias("a"), F.col("node_b").alias("b")).agg(F.count("*").alias("shared"), F.min(F.least("l", "l_b")).alias("least")).filter("shared >= least").select("a", "b")
     rest = ws.keep(counted.join(tested, ["a", "b"], "left_anti"), "rest")
-    more = ws.keep(verify(rest, sets, percent), "links-2")
+    more = checked(rest, "2")
     return rows.filter("rid is not null").drop("counts"), ws.keep(connected(links.unionAll(more), ws, "all"), "components")
 
 
+def _near(x, y, percent: int):
+    return 100 * F.least(x, y) >= percent * F.greatest(x, y)
+
+
+def matched(pairs: DataFrame, own: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) of near sizes whose prefixes share as many tokens as the smaller l of the two."""
+    side = lambda x: own.select(F.col("node").alias(x), *[F.col(c).alias(f"{c}_{x}") for c in ("n", "l", "tokens")])
+    wide = pairs.join(side("b"), "b").join(side("a"), "a").filter(_near(F.col("n_a"), F.col("n_b"), percent))
+    return wide.filter(F.size(F.array_intersect("tokens_a", "tokens_b")) >= F.least("l_a", "l_b")).select("a", "b")
+
+
 def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """(rid, doc_id, n_shingles, component_id, keeper) of each row; keeper is the rid of the row that stands for its component."""
     ws = Workspace(docs.sparkSession, "jaccard-result")

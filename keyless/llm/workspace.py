@@ -64,6 +64,8 @@ class Workspace:
     def keep(self, df: DataFrame, name: str, **options) -> DataFrame:
         target = f"{self.path}/{name}"
         df.write.options(**({"compression": "zstd"} | options)).parquet(target)
+        # shuffle files of the finished job go when the driver collects its garbage, which would else be much later
+        self.spark.sparkContext._jvm.System.gc()
         return self.spark.read.schema(df.schema).parquet(target)
 
     def drop(self, name: str) -> None:
