@@ -72,7 +72,7 @@ def counters(rows: DataFrame) -> np.ndarray:
         total: dict[int, np.ndarray] = {}
         for batch in batches:
             for k, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
-                total[k] = total.get(k, 0) + np.frombuffer(raw, kind)
+                total[k] = total.get(k, 0) + np.frombuffer(raw, kind).astype(np.int64)
         if total:
             yield pa.RecordBatch.from_arrays([pa.array(list(total)), pa.array([x.tobytes() for x in total.values()], pa.binary())], names=["n", "counts"])
 
