@@ -42,7 +42,7 @@ def build_guarded(df: DataFrame, keys: list[str], value: Column, r: int, s: int,
 
 def guarded(df: DataFrame, store: S.Store, keys: list[str] | None = None, out: str = "value") -> DataFrame:
     keys = keys or store.keys
-    got = S.lookup(df, store, keys, "__both")
+    got = S.lookup(df, replace(store, decode=lambda c: c), keys, "__both")
     d = H.digests(got.withColumnsRenamed({c: f"__o_{c}" for c in got.columns}), [f"__o_{k}" for k in keys])
     s = store.guard
     both = F.col("__o___both")

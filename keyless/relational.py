@@ -20,9 +20,9 @@ def q(sql: str):
     return add
 
 
-@q("SELECT l_orderkey, l_linenumber, round(l_extendedprice * (1 - l_discount), 2) AS revenue, CASE WHEN l_quantity > 25 THEN 'big' ELSE 'small' END AS kind FROM lineitem")
+@q("SELECT l_orderkey, l_linenumber, l_extendedprice * (1 - l_discount) AS revenue, CASE WHEN l_quantity > 25 THEN 'big' ELSE 'small' END AS kind FROM lineitem")
 def proj_revenue(s, d):
-    return read(s, d, "lineitem").select("l_orderkey", "l_linenumber", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).alias("revenue"), F.when(F.col("l_quantity") > 25, "big").otherwise("small").alias("kind"))
+    return read(s, d, "lineitem").select("l_orderkey", "l_linenumber", (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("revenue"), F.when(F.col("l_quantity") > 25, "big").otherwise("small").alias("kind"))
 
 
 @q("SELECT p_partkey FROM part WHERE p_size BETWEEN 5 AND 20 AND p_brand IN ('Brand#11', 'Brand#12', 'Brand#23') AND p_name LIKE '%a%' AND p_type IS NOT NULL")
