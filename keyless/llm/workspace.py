@@ -6,6 +6,7 @@ import atexit
 import os
 import shutil
 import tempfile
+import time
 import uuid
 import zipfile
 
@@ -30,6 +31,8 @@ def shared_dir(spark: SparkSession) -> str:
 
 BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 ROWS = 1000
+#: Seconds of a job after which its shuffle files are worth freeing at once.
+COLLECT_AFTER = 3.0
 
 
 def ship(spark: SparkSession) -> None:
@@ -63,9 +66,11 @@ class Workspace:
 
     def keep(self, df: DataFrame, name: str, **options) -> DataFrame:
         target = f"{self.path}/{name}"
+        began = time.monotonic()
         df.write.options(**({"compression": "zstd"} | options)).parquet(target)
-        # shuffle files of the finished job go when the driver collects its garbage, which would else be much later
-        self.spark.sparkContext._jvm.System.gc()
+        if time.monotonic() - began > COLLECT_AFTER:
+            # shuffle files of a finished job go when the driver collects its garbage, which would else be much later
+            self.spark.sparkContext._jvm.System.gc()
         return self.spark.read.schema(df.schema).parquet(target)
 
     def drop(self, name: str) -> None:
