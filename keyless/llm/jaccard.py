@@ -7,8 +7,11 @@ Every node takes the l, and with it the prefix, for which the estimated cost of
 shingles is least; a pair is a candidate where it shares the smaller l of the two.
 
 Links are looked for twice.  First every list is compared with its least and greatest node only, which joins groups of copies at
-a cost that follows the lists.  Then pairs of different components, and only those, are counted in the lists that still hold
-more than one component.  Every candidate is verified on the whole sets.
+a cost that follows the lists.  Then pairs of different components, and only those, meet in the lists that still hold more than
+one component.  Two sets that link share one of their first n - o + 1 shingles too, with o for the sizes of both, so only those
+entries are joined; the join compares parity bitmaps, whose distance is never above that of the sets, and gives out no pair that
+the bitmaps rule out.  Both ways end in a count of the shared shingles of the prefixes, and every candidate is verified on the
+whole sets.
 
 Defined cases: null or empty texts, and texts without words, have no shingles and link with nothing; repeated rows are copies;
 null ids are never the smallest; an empty table gives no rows.  ``docs`` must be read from files.
@@ -34,6 +37,9 @@ SHARDS = 64
 MATCHES = (1, 2, 4, 8, 16, 32, 64)
 #: Chance that a shingle that looks rare stands in another text too, through a passage that both have.
 PASSAGE = 0.3
+#: Words of 64 bits in a parity bitmap.
+WORDS = 16
+BITS = [f"w{k}" for k in range(WORDS)]
 #: Row numbers that may be broadcast, 8 bytes each.
 BROADCAST_ROWS = 100_000
 
@@ -47,22 +53,30 @@ def node_ids(h: np.ndarray, offs: np.ndarray) -> np.ndarray:
     return K.mix(s[0] ^ K.mix(s[1] + np.diff(offs).astype(np.uint64))).view(np.int64)
 
 
+def parities(h: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Parity bitmaps of sets, a row for each: bit b tells if an odd number of hashes fall in bucket b."""
+    size = 64 * WORDS
+    doc = np.repeat(np.arange(len(at) - 1), np.diff(at))
+    odd = np.bincount(doc * size + (h >> U(40)).astype(np.int64) % size, minlength=(len(at) - 1) * size) & 1
+    return np.packbits(odd.astype(np.uint8).reshape(-1, size), axis=1).view(np.int64)
+
+
 def profile(docs: DataFrame, width: int) -> DataFrame:
-    """(rid, doc_id, n, node) for each row and, with rid null, the counters of a task in SHARDS parts."""
+    """(rid, doc_id, n, node, bitmap) for each row and, with rid null, the counters of a task in SHARDS parts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(BUCKETS, np.int32)
-        names = ["rid", "doc_id", "n", "node", "counts"]
+        names = ["rid", "doc_id", "n", "node", "counts", *BITS]
         for batch in batches:
             for i, j, buf, offs in K.slabs(batch.column(2)):
                 h, at = K.shingles(buf, offs, width)
                 counts += np.bincount((h & U(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), batch.column(1).slice(i, j - i), pa.array(np.diff(at)), pa.array(node_ids(h, at)), pa.nulls(j - i, pa.binary())], names=names)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), batch.column(1).slice(i, j - i), pa.array(np.diff(at)), pa.array(node_ids(h, at)), pa.nulls(j - i, pa.binary()), *map(pa.array, parities(h, at).T.copy())], names=names)
         if counts.any():
             parts = counts.reshape(SHARDS, -1)
-            yield pa.RecordBatch.from_arrays([pa.nulls(SHARDS, pa.int64()), pa.nulls(SHARDS, pa.int64()), pa.array(np.arange(SHARDS)), pa.nulls(SHARDS, pa.int64()), pa.array([p.tobytes() for p in parts], pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([pa.nulls(SHARDS, pa.int64()), pa.nulls(SHARDS, pa.int64()), pa.array(np.arange(SHARDS)), pa.nulls(SHARDS, pa.int64()), pa.array([p.tobytes() for p in parts], pa.binary()), *[pa.nulls(SHARDS, pa.int64())] * WORDS], names=names)
 
-    return docs.select("rid", F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "rid long, doc_id long, n long, node long, counts binary")
+    return docs.select("rid", F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, ", ".join(["rid long, doc_id long, n long, node long, counts binary", *[f"{c} long" for c in BITS]]))
 
 
 def counters(rows: DataFrame) -> np.ndarray:
@@ -101,7 +115,7 @@ def choose(n: np.ndarray, at: np.ndarray, estimate: np.ndarray, percent: int) ->
 
 
 def prefixes(docs: DataFrame, counts: np.ndarray, width: int, percent: int) -> DataFrame:
-    """(token, node, n, l) of the prefix of every set; within a task a set comes once."""
+    """(token, node, n, l, place) of the prefix of every set, rare shingles first; within a task a set comes once."""
     shared = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -124,11 +138,12 @@ def prefixes(docs: DataFrame, counts: np.ndarray, width: int, percent: int) -> D
                     if n[i] and x not in seen:
                         seen.add(x)
                         fresh[i] = True
-                take = (np.arange(len(h)) - at[doc] < size[doc]) & fresh[doc]
+                place = np.arange(len(h)) - at[doc]
+                take = (place < size[doc]) & fresh[doc]
                 d = doc[take]
-                yield pa.RecordBatch.from_arrays([pa.array(h[take].view(np.int64)), pa.array(node[d]), pa.array(n[d].astype(np.int32)), pa.array(matches[d].astype(np.int32))], names=["token", "node", "n", "l"])
+                yield pa.RecordBatch.from_arrays([pa.array(h[take].view(np.int64)), pa.array(node[d]), pa.array(n[d].astype(np.int32)), pa.array(matches[d].astype(np.int32)), pa.array(place[take].astype(np.int32))], names=["token", "node", "n", "l", "place"])
 
-    return docs.select("text").mapInArrow(run, "token long, node long, n int, l int")
+    return docs.select("text").mapInArrow(run, "token long, node long, n int, l int, place int")
 
 
 def whole_sets(docs: DataFrame, width: int) -> DataFrame:
@@ -173,7 +188,7 @@ def groups(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFr
     lists = ws.keep(prefixes(docs, counters(rows), width, percent), "prefixes")
     # a token that stands once links nothing; 40 bits of it are enough to leave out nearly all of those
     twice = ws.keep(lists.groupBy(short.alias("short")).count().filter("count > 1").select("short"), "twice")
-    live = ws.keep(lists.withColumn("short", short).join(twice, "short", "left_semi").groupBy("token", "node").agg(F.min("n").alias("n"), F.min("l").alias("l")), "lists")
+    live = ws.keep(lists.withColumn("short", short).join(twice, "short", "left_semi").groupBy("token", "node").agg(F.min("n").alias("n"), F.min("l").alias("l"), F.min("place").alias("place")), "lists")
     for name in ("prefixes", "twice"):
         ws.drop(name)
     own = ws.keep(live.groupBy("node").agg(F.min("n").alias("n"), F.min("l").alias("l"), F.array_sort(F.collect_list("token")).alias("tokens")), "own")
@@ -184,7 +199,7 @@ def groups(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFr
     def checked(pairs: DataFrame, step: str) -> DataFrame:
         """The pairs that hold on the whole sets; sets are made of the texts that the pairs name."""
         nodes = pairs.select(F.col("a").alias("node")).unionAll(pairs.select(F.col("b").alias("node"))).distinct()
-        one = rows.filter("rid is not null").join(nodes, "node", "left_semi").groupBy("node").agg(F.min("rid").alias("rid"))
+        one = rows.filter("rid is not null").select("rid", "node").join(nodes, "node", "left_semi").groupBy("node").agg(F.min("rid").alias("rid"))
         chosen = ws.keep(one.select("rid"), f"chosen-{step}")
         few = chosen.count() <= BROADCAST_ROWS
         sets = ws.keep(whole_sets(docs.join(F.broadcast(chosen) if few else chosen, "rid", "left_semi"), width), f"sets-{step}")
@@ -194,15 +209,21 @@ def groups(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFr
 
     links = checked(tested, "1")
     first = ws.keep(connected(links, ws, "first"), "first")
-    lists_ = ws.keep(live.join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "marked")
+    lists_ = ws.keep(live.filter(f"100 * place <= {100 - percent} * n").drop("l").join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "marked")
     mixed = ws.keep(lists_.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y").select("token"), "mixed")
-    left = ws.keep(lists_.join(mixed, "token", "left_semi").select("token", "node", "n", "l", "component"), "open")
-    right = left.select(F.col("token").alias("token_b"), *[F.col(c).alias(f"{c}_b") for c in ("node", "n", "l", "component")])
-    met = left.join(right, (F.col("token") == F.col("token_b")) & (F.col("node") < F.col("node_b")) & (F.col("component") != F.col("component_b")) & _near(F.col("n"), F.col("n_b"), percent))
-    counted = met.groupBy(F.col("node").alias("a"), F.col("node_b").alias("b")).agg(F.count("*").alias("shared"), F.min(F.least("l", "l_b")).alias("least")).filter("shared >= least").select("a", "b")
-    rest = ws.keep(counted.join(tested, ["a", "b"], "left_anti"), "rest")
+    bitmaps = rows.filter("n > 0").groupBy("node").agg(*[F.min(c).alias(c) for c in BITS])
+    left = ws.keep(lists_.join(mixed, "token", "left_semi").join(bitmaps, "node").select("token", "node", F.col("n").cast("long").alias("n"), "place", "component", *BITS), "open")
+    right = left.select(*[F.col(c).alias(f"{c}_b") for c in left.columns])
+    apart = sum((F.bit_count(F.col(c).bitwiseXOR(F.col(f"{c}_b"))) for c in BITS[1:]), F.bit_count(F.col(BITS[0]).bitwiseXOR(F.col(f"{BITS[0]}_b"))))
+    # sets that link differ in no more than (100 - percent) in (100 + percent) of their sizes' sum, and have the rest after the first shared token
+    both = F.col("n") + F.col("n_b")
+    first_shared = [(F.col(f"n{x}") - F.col(f"place{x}")) * (100 + percent) >= both * percent for x in ("", "_b")]
+    close = first_shared[0] & first_shared[1] & (apart * (100 + percent) <= both * (100 - percent))
+    met = left.join(right, (F.col("token") == F.col("token_b")) & (F.col("node") < F.col("node_b")) & (F.col("component") != F.col("component_b")) & _near(F.col("n"), F.col("n_b"), percent) & close)
+    pairs = ws.keep(met.select(F.col("node").alias("a"), F.col("node_b").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"), "pairs")
+    rest = ws.keep(matched(pairs, own, percent), "rest")
     more = checked(rest, "2")
-    return rows.filter("rid is not null").drop("counts"), ws.keep(connected(links.unionAll(more), ws, "all"), "components")
+    return rows.filter("rid is not null").drop("counts", *BITS), ws.keep(connected(links.unionAll(more), ws, "all"), "components")
 
 
 def _near(x, y, percent: int):
