@@ -272,7 +272,8 @@ def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
         return F.call_function("shiftrightunsigned", F.try_element_at("words", F.floor(j / q).cast("int") + 1), (j % q * plan.width).cast("int")).bitwiseAND(F.lit(mask))
 
     seed = F.lit(plan.seed * 1000) + F.col("seed")
-    good = (F.col("status") == GOOD) & F.col("d1").isNotNull()
+    # not deterministic to Catalyst, so filters and join keys on the answer are not rewritten over the draws, which would repeat them beyond compiled code
+    good = (F.rand(0) * 2 >= 0) & (F.col("status") == GOOD) & F.col("d1").isNotNull()
     if plan.kind == "square":
         return _square_lookup(store, df, out, cell, seed, good)
     if plan.kind == "field":
