@@ -421,3 +421,16 @@ def test_quality_keeps_columns(spark, edge):
     docs = spark.read.parquet(f"{edge}/documents.parquet")
     assert quality.keep_clean(docs).columns == docs.columns
     assert quality.keep_clean(docs).filter("n_words != 1").count() == 0
+
+
+def test_parity_bitmaps_never_exceed_the_distance_of_sets():
+    import numpy as np
+
+    from keyless.llm import jaccard
+
+    rng = np.random.default_rng(3)
+    for size in (1, 7, 150, 4000):
+        base = rng.integers(0, 2**63, size, dtype=np.uint64)
+        other = np.concatenate([base[size // 4 :], rng.integers(0, 2**63, size // 3, dtype=np.uint64)])
+        a, b = jaccard.parities(np.concatenate([base, other]), np.array([0, size, size + len(other)])).view(np.uint64)
+        assert np.bitwise_count(a ^ b).sum() <= len(np.setxor1d(base, other))
