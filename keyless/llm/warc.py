@@ -1,9 +1,11 @@
 """Web archives through a chunked record table.
 
-Pages become rows (record, chunk number, bytes) with a running digest, so a payload is never copied whole: the writer and the
-reader hold one chunk.  A record is a gzip member of its own, named by its page_id.  Equal payloads (by length and digest) are
-written once: the largest page_id is the response, the others are revisits that refer to it.  Archives go to the shared
-folder under a name of the attempt; the manifest holds the names that finished attempts returned.
+Pages become rows (record, chunk number, bytes) with a running digest.  A page is whole only in its input row, where it is cut; from
+there on chunks are kept, dealt to archives by record and sorted by number, so that shuffle and writer hold some chunks at a time,
+however long the payload.  Length and digest of a payload stand in its last chunk, and only those small rows meet the leaders.  A
+record is a gzip member of its own, named by its page_id.  Equal payloads (by length and digest) are written once: the largest page_id
+is the response, the others are revisits that refer to it.  Archives go to the shared folder under a name of the attempt; the manifest
+holds the names that finished attempts returned.
 
 Defined cases: null html is the empty payload; a null page_id is written as ``null`` and read back as null, and is a response
 only where its payload has no page with an id; repeated rows are records of their own; white space in a url is escaped.
@@ -30,7 +32,9 @@ DATE = "2020-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 MANIFEST = "name string, n_records long, n_bytes long"
 RECORDS = "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long, url string"
-CHUNKS = "record long, page_id long, chunk_no int, data binary, bytes_so_far long, digest string, last boolean"
+CHUNKS = "record long, page_id long, chunk_no int, data binary, bytes_so_far long, digest string, last boolean, url string"
+#: Chunks in a batch that a worker gives out.
+GIVEN = 64
 
 
 def base32(digest: bytes) -> str:
@@ -48,17 +52,25 @@ def chunks(payload: memoryview, size: int = CHUNK) -> Iterator[tuple[int, memory
 
 
 def chunk_table(pages: DataFrame, size: int = CHUNK) -> DataFrame:
-    """The rows of all payloads; ``record`` tells rows of one page_id apart."""
+    """The rows of all payloads; ``record`` tells rows of one page_id apart.  The url is in the last row of a record."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, seen = TaskContext.get().partitionId(), 0
+        part, seen, rows = TaskContext.get().partitionId(), 0, []
+        kinds = [pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.int64(), pa.string(), pa.bool_(), pa.string()]
+        names = [x.split(" ")[0] for x in CHUNKS.split(", ")]
+        batch_of = lambda rows: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=names)
         for batch in batches:
-            for i, page in enumerate(batch.column(0).to_pylist()):
+            for i, (page, url) in enumerate(zip(batch.column(0).to_pylist(), batch.column(2).to_pylist())):
                 for number, data, done, digest, last in chunks(_payload(batch.column(1), i), size):
-                    yield pa.RecordBatch.from_pydict({"record": [part << 40 | seen], "page_id": pa.array([page], pa.int64()), "chunk_no": pa.array([number], pa.int32()), "data": pa.array([bytes(data)], pa.binary()), "bytes_so_far": [done], "digest": [digest], "last": [last]})
+                    rows.append((part << 40 | seen, page, number, bytes(data), done, digest, last, url if last else None))
+                    if len(rows) == GIVEN:
+                        yield batch_of(rows)
+                        rows = []
                 seen += 1
+        if rows:
+            yield batch_of(rows)
 
-    return pages.select(F.col("page_id").cast("long"), "html").mapInArrow(run, CHUNKS)
+    return pages.select(F.col("page_id").cast("long"), "html", F.col("url").cast("string")).mapInArrow(run, CHUNKS)
 
 
 def _payload(column: pa.Array, i: int) -> memoryview:
@@ -77,54 +89,90 @@ def _header(kind: str, page: object, url: str | None, digest: str, length: int,
     return ("\r\n".join(lines) + "\r\n\r\n").encode()
 
 
+class _Archives:
+    """Archives of a task: records one after another, each given chunk by chunk."""
+
+    def __init__(self, folder: str, part: int, chunk: int, roll: int):
+        self.out, self.part, self.chunk, self.roll = Folder(folder), part, chunk, roll
+        self.stream, self.name, self.n, self.size, self.done = None, "", 0, 0, []
+        self.head: dict | None = None
+
+    def begin(self, head: dict) -> None:
+        """A record by the row that stands before its chunks."""
+        self.end()
+        if self.stream is not None and self.size >= self.roll:
+            self.close()
+        if self.stream is None:
+            self.out.make()
+            self.name, self.n, self.size = attempt_name(f"archive-{self.part:06d}-{len(self.done)}", ".warc.gz"), 0, 0
+            self.stream = self.out.writer(self.name)
+        page, leader = head["page_id"], head["leader"]
+        self.head, self.revisit = head, leader is not None and (page is None or page < leader)
+        self.running, self.length, self.next = hashlib.sha1(), 0, 0
+        self.member, self.pieces = zlib.compressobj(6, zlib.DEFLATED, 31), []
+        self._put(_header("revisit" if self.revisit else "response", page, head["url"], head["digest"], head["n"], leader))
+
+    def add(self, record: int, number: int, data: memoryview) -> None:
+        if self.head is None or record != self.head["record"] or number != self.next:
+            raise ValueError(f"chunk {number} of record {record} is out of place")
+        self.next += 1
+        self.running.update(data)
+        self.length += len(data)
+        if not self.revisit:
+            self._put(data)
+
+    def _put(self, data: bytes | memoryview) -> None:
+        self.pieces.append(self.member.compress(data))
+        if sum(map(len, self.pieces)) > self.chunk:
+            self._flush()
+
+    def _flush(self) -> None:
+        raw = b"".join(self.pieces)
+        self.size += len(raw)
+        self.stream.write(raw)
+        self.pieces = []
+
+    def end(self) -> None:
+        if self.head is None:
+            return
+        if self.length != self.head["n"] or base32(self.running.digest()) != self.head["digest"]:
+            raise ValueError(f"payload of page {self.head['page_id']} changed while it was written")
+        self.pieces += [self.member.compress(b"\r\n\r\n"), self.member.flush()]
+        self._flush()
+        self.n += 1
+        self.head = None
+
+    def close(self) -> None:
+        self.end()
+        if self.stream is not None:
+            self.stream.close()
+            self.done.append((self.name, self.n, self.size))
+            self.stream = None
+
+
 def write(pages: DataFrame, folder: str, ws: Workspace, least: int = 0, chunk: int = CHUNK, roll: int = 1 << 30) -> DataFrame:
     """Write all pages below ``folder``; the manifest, lazily."""
-    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("payload"))
-    rows = rows.withColumn("n", F.octet_length("payload")).withColumn("sha", F.sha1("payload"))
-    first = rows.filter(F.col("n") >= least).groupBy("n", "sha").agg(F.max("page_id").alias("leader"))
+    rows = ws.keep(chunk_table(pages, chunk), "chunks")
+    ends = rows.filter("last").select("record", "page_id", "url", F.col("bytes_so_far").alias("n"), "digest")
+    first = ends.filter(F.col("n") >= least).groupBy("n", "digest").agg(F.max("page_id").alias("leader"))
     # kept apart so that a payload of very many pages can be split between tasks where the two sides meet
     first = ws.keep(first.filter("leader is not null"), "leaders")
-    dealt = rows.join(first, ["n", "sha"], "left").select("page_id", "url", "payload", "sha", "leader")
+    heads = ends.join(first, ["n", "digest"], "left").select("record", F.lit(-1).alias("chunk_no"), F.struct("record", "page_id", "url", "n", "digest", "leader").alias("head"), F.lit(None).cast("binary").alias("data"))
+    body = rows.select("record", "chunk_no", F.lit(None).cast(heads.schema["head"].dataType).alias("head"), "data")
+    # the head of a record comes before its chunks
+    dealt = heads.unionAll(body).repartition("record").sortWithinPartitions("record", "chunk_no")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, out, stream, name, n, size = TaskContext.get().partitionId(), Folder(folder), None, "", 0, 0
-        done = []
+        out = _Archives(folder, TaskContext.get().partitionId(), chunk, roll)
         for batch in batches:
-            meta = batch.select(["page_id", "url", "sha", "leader"]).to_pylist()
-            for i, row in enumerate(meta):
-                payload = _payload(batch.column(2), i)
-                page, leader = row["page_id"], row["leader"]
-                revisit = leader is not None and (page is None or page < leader)
-                digest = base32(bytes.fromhex(row["sha"]))
-                if stream is not None and size >= roll:
-                    stream.close()
-                    done.append((name, n, size))
-                    stream = None
-                if stream is None:
-                    out.make()
-                    name, n, size = attempt_name(f"archive-{part:06d}-{len(done)}", ".warc.gz"), 0, 0
-                    stream = out.writer(name)
-                member = zlib.compressobj(6, zlib.DEFLATED, 31)
-                pieces = [member.compress(_header("revisit" if revisit else "response", page, row["url"], digest, len(payload), leader))]
-                got = digest
-                if not revisit:
-                    for _, data, _, got, _ in chunks(payload, chunk):
-                        pieces.append(member.compress(data))
-                        if sum(map(len, pieces)) > chunk:
-                            size += sum(map(len, pieces))
-                            stream.write(b"".join(pieces))
-                            pieces = []
-                if got != digest:
-                    raise ValueError(f"payload digest of page {page} changed while it was written")
-                pieces += [member.compress(b"\r\n\r\n"), member.flush()]
-                size += sum(map(len, pieces))
-                stream.write(b"".join(pieces))
-                n += 1
-        if stream is not None:
-            stream.close()
-            done.append((name, n, size))
-        if done:
-            a, b, c = zip(*done)
+            for i, (record, number, head) in enumerate(zip(*[batch.column(k).to_pylist() for k in range(3)])):
+                if head is None:
+                    out.add(record, number, _payload(batch.column(3), i))
+                else:
+                    out.begin(head)
+        out.close()
+        if out.done:
+            a, b, c = zip(*out.done)
             yield pa.RecordBatch.from_pydict({"name": list(a), "n_records": list(b), "n_bytes": list(c)})
 
     return dealt.mapInArrow(run, MANIFEST)
