@@ -38,18 +38,22 @@ class PieceEncoder:
     """Ids by the tokenizers library, with a bounded memory of pieces.
 
     A blank before a character that is not white space always begins a pre-token, and what stands before it never depends on
-    what follows, so a text falls into pieces there that can be encoded apart.  Pieces not in memory go to the library together."""
+    what follows, so a text falls into pieces there that can be encoded apart.  Pieces not in memory go to the library together.
+
+    ``ordinary``: names of the vocabulary's added tokens in a text are ordinary text.  Else they are those tokens, as the library has it
+    by default; a text that names one goes to the library whole, since a blank before it need not begin a pre-token."""
 
     MOST = 600_000
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, ordinary: bool = True):
         import re
 
         from tokenizers import Tokenizer
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.tokenizer.encode_special_tokens = ordinary
+        self.added = [] if ordinary else [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         vocab = self.tokenizer.get_vocab()
         self.dtype = np.dtype("<u4" if max(vocab.values()) > 65_535 else "<u2")
         #: a byte-level vocabulary spells each byte of a token as one character
@@ -68,7 +72,7 @@ class PieceEncoder:
         return out
 
     def _some(self, texts: list[str]) -> list[bytes]:
-        split = [self.cut.split(t) for t in texts]
+        split = [[t] if any(x in t for x in self.added) else self.cut.split(t) for t in texts]
         heads = [x.ids for x in self.tokenizer.encode_batch_fast([p[0] for p in split], add_special_tokens=False)]
         memory = self.memory
         if len(memory) > self.MOST:
@@ -90,4 +94,4 @@ class PieceEncoder:
 
 @functools.lru_cache(maxsize=2)
 def piece_encoder(path: str) -> PieceEncoder:
-    return PieceEncoder(path)
+    return PieceEncoder(path, ordinary=False)
