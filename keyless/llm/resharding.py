@@ -22,6 +22,8 @@ from keyless.llm.workspace import Workspace, table
 SHARDS = 40
 OLD = 32
 BLOCKS = 64
+#: Slots of a shard that go to one file.
+PIECE = 2048
 
 
 def cheapest_transfers(old: list[int], capacity: list[int]) -> dict[tuple[int, int], int]:
@@ -119,16 +121,28 @@ def reshard(docs: DataFrame, old_shard, shards: int = SHARDS, blocks: int = BLOC
     return kept.join(F.broadcast(slots), ["shard", *keys]).select("old_shard", "shard", (F.col("slot_base") + F.col("nth")).alias("slot"), "size", "text_crc32", "row.*")
 
 
-def rewrite(placed: DataFrame, folder: str) -> DataFrame:
-    """Write the shards that receive or lose rows below ``folder``, one directory a shard; those shards and their rows.
+def affected(placed: DataFrame) -> DataFrame:
+    """The shards that receive or lose rows; there are no more of them than old and new shards."""
+    return placed.filter("shard != old_shard").select(F.explode(F.array("shard", "old_shard")).alias("shard")).distinct()
+
+
+def rewrite(placed: DataFrame, folder: str, moved: DataFrame | None = None) -> DataFrame:
+    """Write the shards that receive or lose rows below ``folder``, one directory a shard, in files of some thousand rows in order of
+    slots; those shards and their rows.
 
     A shard whose rows all stay keeps its present files."""
-    moved = placed.filter("shard != old_shard").select(F.explode(F.array("shard", "old_shard")).alias("shard")).distinct()
-    placed.join(F.broadcast(moved), "shard", "left_semi").repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(folder)
-    return placed.sparkSession.read.parquet(folder)
+    rows = placed.join(F.broadcast(affected(placed) if moved is None else moved), "shard", "left_semi")
+    rows.repartition("shard", F.floor(F.col("slot") / PIECE)).sortWithinPartitions("shard", "slot").write.option("compression", "zstd").partitionBy("shard").parquet(folder)
+    return placed.sparkSession.read.schema(rows.schema).parquet(folder)
 
 
 def op9_flow_resharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ws = Workspace(spark, "shards")
     # the present layout: shards by the hash of the id
-    placed = reshard(table(spark, sf_dir, "documents", "doc_id", "text"), F.pmod(F.xxhash64("doc_id"), F.lit(OLD)), carry=["doc_id"])
-    return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard")
+    placed = reshard(table(spark, sf_dir, "documents", "doc_id", "text"), F.pmod(F.xxhash64("doc_id"), F.lit(OLD)), carry=["doc_id", "text"])
+    moved = ws.keep(affected(placed), "affected")
+    raw = F.encode(F.coalesce("text", F.lit("")), "UTF-8")
+    # of affected shards, sizes and checksums are those of the text as written
+    written = rewrite(placed, f"{ws.path}/rewritten", moved).withColumns({"size": F.octet_length(raw).cast("long") + 16, "text_crc32": F.crc32(raw)})
+    rows = written.drop("text").unionByName(placed.drop("text").join(F.broadcast(moved), "shard", "left_anti"))
+    return rows.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard")
