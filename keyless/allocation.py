@@ -18,7 +18,8 @@ ROWS = "block long, d1 long, cell long, m int, allowed boolean, rank_ok boolean"
 
 def place(df: DataFrame, keys: list[str], how: str = "kary", k: int = 3, load: float = 0.9, run: int = 4, block: int = 128, tries: int = 50, rank: bool = False, seed: int = 5) -> DataFrame:
     """(block, d1, cell, m, allowed, rank_ok).  how: ``kary``, ``two_runs`` or ``probe``; ``rank`` also tests that random
-    coefficients on the allowed cells have full rank over a large prime field, and that a placement follows from the pivots."""
+    coefficients on the allowed cells have full rank over a large prime field, and that a placement follows from the pivots.  A block that
+    is placed is not drawn anew for its rank: rank_ok is false where the rank is short, by chance at most keys / prime."""
     rows = S.normalise(df.select(*keys), keys, None, "min")
     n = rows.count()
     blocks = max(1, -(-n // block))
@@ -39,11 +40,7 @@ def place(df: DataFrame, keys: list[str], how: str = "kary", k: int = 3, load: f
                     continue
                 if rank:
                     coded = [{c: int(g) for c, g in zip(r, (H.np_draw(H.FIELD, s, j, d1[i : i + 1], d2[i : i + 1], H.PRIME - 1)[0] + 1 for j in range(len(r))))} for i, r in enumerate(choices)]
-                    found = A.solve_field(coded, [0] * len(coded), m, H.PRIME)
-                    if found is None:
-                        continue
-                    pivots = set(found[1])
-                    ok = A.match([[c for c in r if c in pivots] for r in choices]) is not None
+                    ok = rank_and_pivots(choices, coded, m)
                 break
             if cells is None:
                 raise S.BuildError(f"block {b}: no placement at load {load}")
@@ -53,6 +50,15 @@ def place(df: DataFrame, keys: list[str], how: str = "kary", k: int = 3, load: f
     return S.clustered(rows, blocks, master=seed).mapInArrow(run_block, ROWS)
 
 
+def rank_and_pivots(choices: list[list[int]], coded: list[dict[int, int]], m: int) -> bool:
+    """Whether the coded rows have full rank and a placement follows from the pivots."""
+    found = A.solve_field(coded, [0] * len(coded), m, H.PRIME)
+    if found is None:
+        return False
+    pivots = set(found[1])
+    return A.match([[c for c in r if c in pivots] for r in choices]) is not None
+
+
 def longest_run(df: DataFrame, home, cells: int) -> DataFrame:
     """Longest run of taken cells under linear probing without a ring, by sorting homes: the cell of the i-th key in order of homes
     is i plus the running maximum of home minus rank."""

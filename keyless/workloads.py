@@ -268,7 +268,7 @@ def _placement(name: str, table: str, key: str, **options) -> None:
         got = allocation.place(read(spark, sf_dir, table, key), [key], **options)
         bad = F.count("*") - F.count_distinct("block", "cell") + F.count_if(~F.col("allowed"))
         if options.get("rank"):
-            bad = bad + F.count_if(~F.col("rank_ok"))
+            bad = bad + F.count_if(~F.coalesce("rank_ok", F.lit(False)))
         return check(got, name, F.count("*"), bad)
 
     run.__name__ = name
