@@ -6,15 +6,18 @@ share at least l of their first n - o + l shingles, where o is the least overlap
 Every node takes the l, and with it the prefix, for which the estimated cost of its lists and of the candidates that share l
 shingles is least; a pair is a candidate where it shares the smaller l of the two.
 
-Links are looked for twice.  First every list is compared with its least and greatest node only, which joins groups of copies at
-a cost that follows the lists.  Then pairs of different components, and only those, meet in the lists that still hold more than
-one component.  Two sets that link share one of their first n - o + 1 shingles too, with o for the sizes of both, so only those
+Links are looked for twice.  First every list is compared with two of its nodes only, which joins groups of copies at a cost that
+follows the lists.  These two have the fewest shingles rarer than that of the list: a text with few words of its own, as the one
+that the others were made from, is near to most.  Then pairs of different components, and only those, meet in the lists that still
+hold more than one component.  Two sets that link share one of their first n - o + 1 shingles too, with o for the sizes of both, so only those
 entries are joined; the join compares parity bitmaps, whose distance is never above that of the sets, and gives out no pair that
 the bitmaps rule out.  Both ways end in a count of the shared shingles of the prefixes, and every candidate is verified on the
 whole sets.
 
 Defined cases: null or empty texts, and texts without words, have no shingles and link with nothing; repeated rows are copies;
-null ids are never the smallest; an empty table gives no rows.  ``docs`` must be read from files.
+null ids are never the smallest; a very long text is handled alone, by one task; an empty table gives no rows; columns other than
+doc_id and text stay as they are, whatever their names.  Rows that are not plainly read from files are written out once, since rows
+are told apart by their place in the scan.
 """
 
 from __future__ import annotations
@@ -28,7 +31,7 @@ from pyspark.sql import functions as F
 
 from keyless.llm import kernels as K
 from keyless.llm.components import connected
-from keyless.llm.workspace import Workspace, table
+from keyless.llm.workspace import Workspace, settled, table
 
 U = np.uint64
 BUCKETS = 1 << 20
@@ -70,7 +73,7 @@ def profile(docs: DataFrame, width: int) -> DataFrame:
         for batch in batches:
             for i, j, buf, offs in K.slabs(batch.column(2)):
                 h, at = K.shingles(buf, offs, width)
-                counts += np.bincount((h & U(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS)
+                np.add.at(counts, (h & U(BUCKETS - 1)).astype(np.int64), 1)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), batch.column(1).slice(i, j - i), pa.array(np.diff(at)), pa.array(node_ids(h, at)), pa.nulls(j - i, pa.binary()), *map(pa.array, parities(h, at).T.copy())], names=names)
         if counts.any():
             parts = counts.reshape(SHARDS, -1)
@@ -192,14 +195,14 @@ def groups(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFr
     for name in ("prefixes", "twice"):
         ws.drop(name)
     own = ws.keep(live.groupBy("node").agg(F.min("n").alias("n"), F.min("l").alias("l"), F.array_sort(F.collect_list("token")).alias("tokens")), "own")
-    ends = ws.keep(live.groupBy("token").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).filter("lo < hi"), "ends")
-    star = live.select("token", "node").join(ends, "token").select(F.explode(F.array(F.struct(F.col("lo").alias("a"), F.col("node").alias("b")), F.struct(F.col("node").alias("a"), F.col("hi").alias("b")))).alias("p")).select("p.*").filter("a != b")
+    hubs = ws.keep(live.groupBy("token").agg(F.count("*").alias("n"), *[F.min_by("node", _rank(end)).alias(name) for end, name in ((F.col("node"), "lo"), (F.bitwise_not("node"), "hi"))]).filter("n > 1").drop("n"), "hubs")
+    star = live.select("token", "node").join(hubs, "token").select(F.explode(F.array("lo", "hi")).alias("hub"), "node").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")).filter("a != b")
     tested = ws.keep(matched(ws.keep(star.distinct(), "star"), own, percent), "tested")
 
     def checked(pairs: DataFrame, step: str) -> DataFrame:
         """The pairs that hold on the whole sets; sets are made of the texts that the pairs name."""
         nodes = pairs.select(F.col("a").alias("node")).unionAll(pairs.select(F.col("b").alias("node"))).distinct()
-        one = rows.filter("rid is not null").select("rid", "node").join(nodes, "node", "left_semi").groupBy("node").agg(F.min("rid").alias("rid"))
+        one = firsts.join(nodes, "node", "left_semi")
         chosen = ws.keep(one.select("rid"), f"chosen-{step}")
         few = chosen.count() <= BROADCAST_ROWS
         sets = ws.keep(whole_sets(docs.join(F.broadcast(chosen) if few else chosen, "rid", "left_semi"), width), f"sets-{step}")
@@ -207,7 +210,11 @@ def groups(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFr
         ws.drop(f"sets-{step}")
         return out
 
+    # aggregated before it meets anything, so that a text of very many copies is a row a task
+    firsts = ws.keep(rows.filter("rid is not null").groupBy("node").agg(F.min("rid").alias("rid")), "firsts")
     links = checked(tested, "1")
+    for name in ("hubs", "star", "chosen-1"):
+        ws.drop(name)
     first = ws.keep(connected(links, ws, "first"), "first")
     lists_ = ws.keep(live.filter(f"100 * place <= {100 - percent} * n").drop("l").join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "marked")
     mixed = ws.keep(lists_.groupBy("token").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x < y").select("token"), "mixed")
@@ -222,8 +229,16 @@ def groups(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFr
     met = left.join(right, (F.col("token") == F.col("token_b")) & (F.col("node") < F.col("node_b")) & (F.col("component") != F.col("component_b")) & _near(F.col("n"), F.col("n_b"), percent) & close)
     pairs = ws.keep(met.select(F.col("node").alias("a"), F.col("node_b").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"), "pairs")
     rest = ws.keep(matched(pairs, own, percent), "rest")
-    more = checked(rest, "2")
-    return rows.filter("rid is not null").drop("counts", *BITS), ws.keep(connected(links.unionAll(more), ws, "all"), "components")
+    for name in ("lists", "marked", "mixed", "open"):
+        ws.drop(name)
+    if not rest.isEmpty():
+        first = ws.keep(connected(links.unionAll(checked(rest, "2")), ws, "all"), "components")
+    return rows.filter("rid is not null").drop("counts", *BITS), first
+
+
+def _rank(end):
+    """Order within a list: by the number of rarer shingles, then by the end of the node's number."""
+    return F.shiftleft(F.least(F.col("place"), F.lit(1 << 22)).cast("long"), 40).bitwiseOR(end.bitwiseAND(F.lit((1 << 40) - 1)))
 
 
 def _near(x, y, percent: int):
@@ -252,9 +267,9 @@ def link(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """The rows of ``docs`` with one of each group of near duplicates."""
-    numbered = docs.select(F.monotonically_increasing_id().alias("rid"), F.struct("*").alias("row"))
-    found = link(numbered.select("rid", F.col("row.doc_id").alias("doc_id"), F.col("row.text").alias("text")), width, percent)
     ws = Workspace(docs.sparkSession, "jaccard-keep")
+    numbered = settled(docs, ws).select(F.monotonically_increasing_id().alias("rid"), F.struct("*").alias("row"))
+    found = link(numbered.select("rid", F.col("row.doc_id").alias("doc_id"), F.col("row.text").alias("text")), width, percent)
     gone = ws.keep(found.filter("keeper != rid").select("rid"), "gone")
     return numbered.join(gone, "rid", "left_anti").select("row.*")
 

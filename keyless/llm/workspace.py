@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import os
 import shutil
 import tempfile
 import time
 import uuid
 import zipfile
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -17,10 +19,12 @@ _SHIPPED: set[str] = set()
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared folder of the session as a URI; a folder of this process only where none is set (tests, local mode)."""
+    """The shared folder of the session as a URI; a folder of this process only where none is set, which only local mode may do."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+        raise RuntimeError("spark.checkpoint.dir names no folder that all executors share")
     app = spark.sparkContext.applicationId
     if app not in _OWN:
         path = tempfile.mkdtemp(prefix="keyless-")
@@ -35,10 +39,32 @@ ROWS = 1000
 COLLECT_AFTER = 3.0
 
 
-def ship(spark: SparkSession) -> None:
-    """Give the package to the Python workers, once for an application, and keep Arrow batches of whole texts small."""
-    if not 0 < int(spark.conf.get(BATCH)) <= ROWS:
+@contextlib.contextmanager
+def small_batches(spark: SparkSession) -> Iterator[None]:
+    """Arrow batches of whole texts are kept small while intermediates are written; the session's own setting holds again after."""
+    before = spark.conf.get(BATCH)
+    if not 0 < int(before) <= ROWS:
         spark.conf.set(BATCH, str(ROWS))
+    try:
+        yield
+    finally:
+        spark.conf.set(BATCH, before)
+
+
+def settled(docs: DataFrame, ws: Workspace) -> DataFrame:
+    """``docs`` where its rows are read from files and at most filtered and projected, so that a second reading numbers them alike;
+    else a written copy."""
+    plan = docs._jdf.queryExecution().optimizedPlan()
+    nodes, calm = [plan], True
+    while nodes and calm:
+        node = nodes.pop()
+        calm = node.nodeName() in ("Project", "Filter", "LogicalRelation", "RelationV2", "LocalRelation", "LogicalRDD") and node.deterministic()
+        nodes += [node.children().apply(i) for i in range(node.children().size())]
+    return docs if calm and docs.inputFiles() else ws.keep(docs, "input")
+
+
+def ship(spark: SparkSession) -> None:
+    """Give the package to the Python workers, once for an application."""
     app = spark.sparkContext.applicationId
     if app in _SHIPPED:
         return
@@ -67,7 +93,8 @@ class Workspace:
     def keep(self, df: DataFrame, name: str, **options) -> DataFrame:
         target = f"{self.path}/{name}"
         began = time.monotonic()
-        df.write.options(**({"compression": "zstd"} | options)).parquet(target)
+        with small_batches(self.spark):
+            df.write.options(**({"compression": "zstd"} | options)).parquet(target)
         if time.monotonic() - began > COLLECT_AFTER:
             # shuffle files of a finished job go when the driver collects its garbage, which would else be much later
             self.spark.sparkContext._jvm.System.gc()
