@@ -7,7 +7,9 @@ only documents of an overfull shard move.  Sizes of new shards then differ from
 each transfer.
 
 Defined cases: null text has size 16 and the checksum of no bytes; null doc_ids are one place in the order, and rows that tie
-are ordered by checksum; repeated rows are placed each; an empty table gives no rows.
+are ordered by checksum; repeated rows are placed each; a text of any length is one document and goes to one shard; an empty table
+gives no rows.  The law is ``bytes``: sizes of shards are near equal.  Equal texts are documents of their own and are not kept together,
+since a group of them may be larger than a shard.
 """
 
 from __future__ import annotations
@@ -22,8 +24,10 @@ from keyless.llm.workspace import Workspace, table
 SHARDS = 40
 OLD = 32
 BLOCKS = 64
-#: Slots of a shard that go to one file.
-PIECE = 2048
+#: Bytes of a block beyond which the lines are cut finer, up to so many blocks; bytes of documents a task.
+BLOCK_BYTES = 256 << 20
+MOST_BLOCKS = 4096
+TASK_BYTES = 128 << 20
 
 
 def cheapest_transfers(old: list[int], capacity: list[int]) -> dict[tuple[int, int], int]:
@@ -77,10 +81,12 @@ def equal_shares(total: int, shards: int) -> list[int]:
     return [total * (j + 1) // shards - total * j // shards for j in range(shards)]
 
 
-def reshard(docs: DataFrame, old_shard, shards: int = SHARDS, blocks: int = BLOCKS, carry: list[str] | None = None) -> DataFrame:
-    """(old_shard, shard, slot, size, text_crc32) before the columns named in ``carry`` (all by default, clashing names excepted).
+def placement(docs: DataFrame, old_shard, shards: int = SHARDS, blocks: int = BLOCKS, carry: list[str] | None = None) -> tuple[DataFrame, DataFrame]:
+    """(rows, runs): the rows as ``reshard`` gives them, lazily, and the kept table (shard, old_shard, block, count, slot_base) of runs
+    of rows that stay together.
 
-    ``old_shard``: an expression for the present shard, 0-based."""
+    All decisions are made on sizes and ids; what is carried is shuffled once, by ranges of the old lines, so that a task holds rows
+    for few shards."""
     spark = docs.sparkSession
     ws = Workspace(spark, "reshard")
     own = {"old_shard", "shard", "slot", "size", "text_crc32"}
@@ -88,12 +94,17 @@ def reshard(docs: DataFrame, old_shard, shards: int = SHARDS, blocks: int = BLOC
     raw = F.encode(F.coalesce("text", F.lit("")), "UTF-8")
     # what is carried stays in one struct, apart from the names used here
     line = docs.select(old_shard.cast("int").alias("old_shard"), (F.octet_length(raw).cast("long") + 16).alias("size"), F.crc32(raw).alias("text_crc32"), F.col("doc_id").alias("id"), F.struct(*carry).alias("row"))
-    # the line of a shard is cut in blocks by content as well as by id, so no id or text gathers in one
-    line = line.withColumn("block", F.pmod(F.xxhash64("id", "text_crc32", F.lit(7)), F.lit(blocks)).cast("int"))
     keys = ["old_shard", "block"]
-    sizes = {(r[0], r[1]): r[2] for r in line.groupBy(*keys).agg(F.sum("size")).collect()}  # old shards times blocks
+    while True:
+        # the line of a shard is cut in blocks by content as well as by id, so no id or text gathers in one
+        cut = line.withColumn("block", F.pmod(F.xxhash64("id", "text_crc32", F.lit(7)), F.lit(blocks)).cast("int"))
+        sizes = {(r[0], r[1]): r[2] for r in cut.groupBy(*keys).agg(F.sum("size")).collect()}  # old shards times blocks
+        if max(sizes.values(), default=0) <= BLOCK_BYTES or blocks >= MOST_BLOCKS:
+            break
+        blocks = min(MOST_BLOCKS, blocks * -(-max(sizes.values()) // BLOCK_BYTES))
     if not sizes:
-        return line.select("old_shard", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("slot"), "size", "text_crc32", "row.*")
+        runs = spark.createDataFrame([], "shard int, old_shard int, block int, count long, slot_base long")
+        return line.select("old_shard", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("slot"), "size", "text_crc32", "row.*"), runs
     old = [0] * (max(s for s, _ in sizes) + 1)
     bases = []
     for s, b in sorted(sizes):
@@ -107,18 +118,29 @@ def reshard(docs: DataFrame, old_shard, shards: int = SHARDS, blocks: int = BLOC
             cuts.append((s, at, at + flows[s, j], j))
             at += flows[s, j]
     tie = [F.col("id").asc_nulls_first(), "text_crc32", "size"]
-    order = Window.partitionBy(*keys).orderBy(*tie).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     base = spark.createDataFrame(bases, "old_shard int, block int, base long")
     ends = spark.createDataFrame(cuts, "old_shard int, a long, b long, to int").groupBy("old_shard").agg(F.collect_list(F.struct("a", "b", "to")).alias("cuts"))
+    order = Window.partitionBy(*keys).orderBy(*tie).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     first_byte = F.col("base") + F.sum("size").over(order) - F.col("size")
-    placed = line.join(F.broadcast(base), keys).withColumn("first_byte", first_byte).join(F.broadcast(ends), "old_shard")
     to = F.filter("cuts", lambda c: (c["a"] <= F.col("first_byte")) & (F.col("first_byte") < c["b"]))[0]["to"]
-    nth = F.row_number().over(Window.partitionBy(*keys, "shard").orderBy(*tie)).cast("long") - 1
-    kept = ws.keep(placed.withColumn("shard", to).withColumn("nth", nth).select(*keys, "shard", "nth", "size", "text_crc32", "row"), "placed")
-    counts = kept.groupBy("shard", *keys).count()
+
+    def placed(rows: DataFrame) -> DataFrame:
+        return rows.join(F.broadcast(base), keys).withColumn("first_byte", first_byte).join(F.broadcast(ends), "old_shard").withColumn("shard", to).drop("cuts", "base", "first_byte")
+
+    counts = ws.keep(placed(cut.drop("row")).groupBy("shard", *keys).count(), "counts")
     before = Window.partitionBy("shard").orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
-    slots = counts.select("shard", *keys, F.coalesce(F.sum("count").over(before), F.lit(0)).alias("slot_base"))  # old shards times blocks, and a few
-    return kept.join(F.broadcast(slots), ["shard", *keys]).select("old_shard", "shard", (F.col("slot_base") + F.col("nth")).alias("slot"), "size", "text_crc32", "row.*")
+    runs = ws.keep(counts.withColumn("slot_base", F.coalesce(F.sum("count").over(before), F.lit(0))), "runs")  # old shards times blocks, and a few
+    parts = max(min(len(sizes), int(spark.conf.get("spark.sql.shuffle.partitions"))), sum(old) // TASK_BYTES)
+    nth = F.row_number().over(Window.partitionBy(*keys, "shard").orderBy(*tie)).cast("long") - 1
+    rows = placed(cut.repartitionByRange(parts, *keys)).withColumn("nth", nth).join(F.broadcast(runs.drop("count")), ["shard", *keys])
+    return rows.select("old_shard", "shard", (F.col("slot_base") + F.col("nth")).alias("slot"), "size", "text_crc32", "row.*"), runs
+
+
+def reshard(docs: DataFrame, old_shard, shards: int = SHARDS, blocks: int = BLOCKS, carry: list[str] | None = None) -> DataFrame:
+    """(old_shard, shard, slot, size, text_crc32) before the columns named in ``carry`` (all by default, clashing names excepted).
+
+    ``old_shard``: an expression for the present shard, 0-based; ``blocks``: parts of the line of a shard, more where they are large."""
+    return placement(docs, old_shard, shards, blocks, carry)[0]
 
 
 def affected(placed: DataFrame) -> DataFrame:
@@ -127,22 +149,23 @@ def affected(placed: DataFrame) -> DataFrame:
 
 
 def rewrite(placed: DataFrame, folder: str, moved: DataFrame | None = None) -> DataFrame:
-    """Write the shards that receive or lose rows below ``folder``, one directory a shard, in files of some thousand rows in order of
-    slots; those shards and their rows.
+    """Write the shards that receive or lose rows below ``folder``, one directory a shard, each file a range of slots; those shards and
+    their rows.
 
-    A shard whose rows all stay keeps its present files."""
+    A shard whose rows all stay keeps its present files.  Rows of ``reshard`` are written by the tasks that placed them."""
     rows = placed.join(F.broadcast(affected(placed) if moved is None else moved), "shard", "left_semi")
-    rows.repartition("shard", F.floor(F.col("slot") / PIECE)).sortWithinPartitions("shard", "slot").write.option("compression", "zstd").partitionBy("shard").parquet(folder)
+    rows.write.option("compression", "zstd").partitionBy("shard").parquet(folder)
     return placed.sparkSession.read.schema(rows.schema).parquet(folder)
 
 
 def op9_flow_resharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     ws = Workspace(spark, "shards")
     # the present layout: shards by the hash of the id
-    placed = reshard(table(spark, sf_dir, "documents", "doc_id", "text"), F.pmod(F.xxhash64("doc_id"), F.lit(OLD)), carry=["doc_id", "text"])
-    moved = ws.keep(affected(placed), "affected")
+    placed, runs = placement(table(spark, sf_dir, "documents", "doc_id", "text"), F.pmod(F.xxhash64("doc_id"), F.lit(OLD)), carry=["doc_id", "text"])
+    moved = ws.keep(affected(runs), "affected")
     raw = F.encode(F.coalesce("text", F.lit("")), "UTF-8")
     # of affected shards, sizes and checksums are those of the text as written
-    written = rewrite(placed, f"{ws.path}/rewritten", moved).withColumns({"size": F.octet_length(raw).cast("long") + 16, "text_crc32": F.crc32(raw)})
-    rows = written.drop("text").unionByName(placed.drop("text").join(F.broadcast(moved), "shard", "left_anti"))
+    rows = rewrite(placed, f"{ws.path}/rewritten", moved).withColumns({"size": F.octet_length(raw).cast("long") + 16, "text_crc32": F.crc32(raw)}).drop("text")
+    if not runs.join(F.broadcast(moved), "shard", "left_anti").isEmpty():
+        rows = rows.unionByName(placed.drop("text").join(F.broadcast(moved), "shard", "left_anti"))
     return rows.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard")
