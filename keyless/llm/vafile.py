@@ -1,13 +1,17 @@
 """Exact top-k by inner product over a vector-approximation file.
 
-Every vector is kept twice: as the cell of each component (a byte) and exactly.  A scan of the cells gives bounds of the
-score; a vector is read exactly only while its upper bound reaches the k-th best score known, in the order of the bounds,
-so the result is certain.  Queries come in blocks of bounded size; each block is one pass over the index, whose tasks keep
-k rows for a query, and the partial results are merged by a ranked window.
+Two files are written: the exact vectors, a row each, and the cells, blocks of vectors of which each component is a byte.  A scan
+of the cells alone gives bounds of every score and keeps what can still reach the k-th best lower bound.  Then exact vectors are
+read, a join by row: first those with the k highest upper bounds of each query, after that only those whose upper bound reaches
+the k-th exact score found so far, so the result is certain.
+
+Queries are packed in blocks of bounded size, and blocks of queries meet blocks of cells on the executors, by groups of cell
+blocks; nothing but the ranges of the components reaches the driver.
 
 Defined cases: vectors that are null, or hold a null or non-finite component, and rows with a null id take no part; a shorter
 vector counts as filled with zeros; of queries with one id the first by content is asked; candidates of the query's own id
-are left out; ties go to the smaller id, and repeated rows are candidates of their own.
+are left out; ties go to the smaller id, and repeated rows are candidates of their own; other columns are not looked at; an empty
+table, or no query, gives no rows.
 """
 
 from __future__ import annotations
@@ -17,71 +21,83 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from keyless.llm.workspace import Workspace, table
 
-CELLS = 16
-INDEX = "vec_id long, cells binary, exact binary"
-
-
-def whole(rows: pa.RecordBatch, scale: float = 256.0) -> tuple[np.ndarray, list[np.ndarray]]:
-    """(ids, vectors of floor(scale * x)) of the rows that take part."""
-    ids, vectors = [], []
-    for i, v in zip(rows.column(0).to_pylist(), rows.column(1)):
-        if i is None or not v.is_valid:
-            continue
-        x = v.values
-        if x.null_count:
-            continue
-        x = np.floor(scale * x.to_numpy(zero_copy_only=False).astype(np.float64))
-        if np.isfinite(x).all():
-            ids.append(i)
-            vectors.append(x)
-    return np.array(ids, np.int64), vectors
-
-
-def square(vectors: list[np.ndarray], width: int) -> np.ndarray:
-    out = np.zeros((len(vectors), width))
-    for row, v in zip(out, vectors):
-        row[: len(v)] = v
+#: Cells of a component; a cell number is a byte.
+CELLS = 256
+#: Vectors in a block of the cell file, vectors bounded at once, and queries in a block.
+BLOCK = 4096
+SLICE = 1024
+QUERIES = 1024
+#: Blocks of queries whose k best lower bounds a task remembers; more only cost candidates.
+REMEMBERED = 64
+EXACT = "rid long, vec_id long, exact binary"
+CELL_FILE = "block long, vec_ids binary, rids binary, cells binary"
+QUERY_FILE = "query_block long, query_ids binary, vectors binary"
+FOUND = "query_id long, rid long, lower double, upper double"
+
+
+def _binary(flat: np.ndarray, sizes: np.ndarray) -> pa.Array:
+    """A binary cell of ``sizes`` items each out of ``flat``."""
+    offsets = np.concatenate([[0], np.cumsum(sizes * flat.itemsize)]).astype(np.int64)
+    return pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(flat.tobytes())]).cast(pa.binary())
+
+
+def matrix(column: pa.Array, width: int | None = None) -> np.ndarray:
+    """Doubles of binary cells as rows, filled with zeros."""
+    column = column.cast(pa.large_binary())
+    _, offsets, data = column.buffers()
+    offs = np.frombuffer(offsets, np.int64)[column.offset : column.offset + len(column) + 1] // 8
+    sizes = np.diff(offs)
+    flat = np.frombuffer(data, np.uint8)[: offs[-1] * 8].view(np.float64)[offs[0] :] if data is not None else np.zeros(0)
+    width = int(sizes.max(initial=0)) if width is None else width
+    if (sizes == width).all():
+        return flat.reshape(len(column), width)
+    out = np.zeros((len(column), width))
+    out[np.arange(width) < sizes[:, None]] = flat
     return out
 
 
-def ranges(vectors: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Least and greatest value of each component; one row a task, reduced on the executors."""
+def exact_file(vectors: DataFrame, scale: float = 256.0) -> DataFrame:
+    """A row for each vector of floor(scale * x) that takes part; ``rid`` tells rows of one id apart."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lo = hi = np.zeros(0)
+        base, seen = TaskContext.get().partitionId() << 40, 0
         for batch in batches:
-            for x in whole(batch)[1]:
-                if len(x) > len(lo):
-                    lo, hi = np.pad(lo, (0, len(x) - len(lo))), np.pad(hi, (0, len(x) - len(hi)))
-                np.minimum(lo[: len(x)], x, out=lo[: len(x)])
-                np.maximum(hi[: len(x)], x, out=hi[: len(x)])
-        yield pa.RecordBatch.from_pydict({"lo": pa.array([lo.tolist()], pa.list_(pa.float64())), "hi": pa.array([hi.tolist()], pa.list_(pa.float64()))})
+            batch = batch.filter(pc.and_(batch.column(0).is_valid(), batch.column(1).is_valid()))
+            sizes = pc.list_value_length(batch.column(1)).to_numpy(zero_copy_only=False).astype(np.int64)
+            flat = np.floor(scale * batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64))
+            row = np.repeat(np.arange(len(sizes)), sizes)
+            ok = np.bincount(row[~np.isfinite(flat)], minlength=len(sizes)) == 0
+            n = int(ok.sum())
+            yield pa.RecordBatch.from_arrays([pa.array(base + seen + np.arange(n)), batch.column(0).filter(pa.array(ok)), _binary(flat[ok[row]], sizes[ok])], names=["rid", "vec_id", "exact"])
+            seen += n
 
-    ends = vectors.mapInArrow(run, "lo array<double>, hi array<double>")
-    # a component of a short vector is zero, and zero is inside every range
-    flat = ends.select(F.posexplode(F.arrays_zip("lo", "hi")).alias("d", "x")).groupBy("d").agg(F.min("x.lo").alias("lo"), F.max("x.hi").alias("hi"))
-    got = {r["d"]: (min(r["lo"], 0.0), max(r["hi"], 0.0)) for r in flat.collect()}  # a row for each component
-    return np.array([got[d][0] for d in range(len(got))]), np.array([got[d][1] for d in range(len(got))])
+    return vectors.mapInArrow(run, EXACT)
 
 
-def build(vectors: DataFrame, lo: np.ndarray, hi: np.ndarray, cells: int = CELLS) -> DataFrame:
-    """The file: cell numbers of each vector beside the exact one."""
-    step = cell_step(lo, hi, cells)
+def ranges(exact: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Least and greatest value of each component; one row a task, reduced on the executors."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lo = hi = np.zeros(0)
         for batch in batches:
-            for at in range(0, batch.num_rows, 4096):
-                ids, xs = whole(batch.slice(at, 4096))
-                x = square(xs, len(lo))
-                codes = np.clip(np.floor((x - lo) / step), 0, cells - 1).astype(np.uint8)
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([r.tobytes() for r in codes], pa.binary()), pa.array([r.tobytes() for r in x], pa.binary())], names=["vec_id", "cells", "exact"])
+            x = matrix(batch.column(0))
+            if batch.num_rows:
+                width = max(x.shape[1], len(lo))
+                # a component of a short vector is zero, and zero is inside every range
+                lo, hi, low, high = (np.pad(v, (0, width - len(v))) for v in (lo, hi, x.min(0), x.max(0)))
+                lo, hi = np.minimum(lo, low), np.maximum(hi, high)
+        yield pa.RecordBatch.from_pydict({"lo": pa.array([lo.tolist()], pa.list_(pa.float64())), "hi": pa.array([hi.tolist()], pa.list_(pa.float64()))})
 
-    return vectors.mapInArrow(run, INDEX)
+    ends = exact.select("exact").mapInArrow(run, "lo array<double>, hi array<double>")
+    flat = ends.select(F.posexplode(F.arrays_zip("lo", "hi")).alias("d", "x")).groupBy("d").agg(F.min("x.lo").alias("lo"), F.max("x.hi").alias("hi"))
+    got = {r["d"]: (r["lo"], r["hi"]) for r in flat.collect()}  # a row for each component
+    return np.array([got[d][0] for d in range(len(got))]), np.array([got[d][1] for d in range(len(got))])
 
 
 def cell_step(lo: np.ndarray, hi: np.ndarray, cells: int) -> np.ndarray:
@@ -89,101 +105,109 @@ def cell_step(lo: np.ndarray, hi: np.ndarray, cells: int) -> np.ndarray:
     return np.maximum(np.ceil((hi - lo + 1) / cells), 1)
 
 
-def _matrix(column: pa.Array, kind: type, width: int) -> np.ndarray:
-    _, offsets, data = column.buffers()
-    offs = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1]
-    return np.frombuffer(data, np.uint8)[offs[0] : offs[-1]].view(kind).reshape(len(column), width)
+def _blocks(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[int, pa.Table]]:
+    """(number, rows) of a task's rows in blocks."""
+    number, held, n = TaskContext.get().partitionId() << 32, [], 0
+    for batch in batches:
+        while batch.num_rows:
+            part = batch.slice(0, size - n)
+            held.append(part)
+            n, batch = n + part.num_rows, batch.slice(part.num_rows)
+            if n == size:
+                yield number, pa.Table.from_batches(held).combine_chunks()
+                number, held, n = number + 1, [], 0
+    if held:
+        yield number, pa.Table.from_batches(held).combine_chunks()
 
 
-def search_block(index: DataFrame, q_ids: np.ndarray, q: np.ndarray, lo: np.ndarray, step: np.ndarray, k: int) -> DataFrame:
-    """The k best of each task for every query of the block."""
-    order = np.argsort(q_ids)
-    q_ids, q = q_ids[order], q[order]
-    spread = (np.abs(q) * (step / 2)).sum(1)
-    width = len(lo)
+def cell_file(exact: DataFrame, lo: np.ndarray, step: np.ndarray, cells: int = CELLS, block: int = BLOCK) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for number, rows in _blocks(batches, block):
+            codes = [np.clip(np.floor((matrix(x, len(lo)) - lo) / step), 0, cells - 1).astype(np.uint8).tobytes() for x in rows.column("exact").chunks]
+            ids, rids = (np.asarray(rows.column(c), np.int64).tobytes() for c in ("vec_id", "rid"))
+            yield pa.RecordBatch.from_pydict({"block": [number], "vec_ids": [ids], "rids": [rids], "cells": [b"".join(codes)]})
+
+    return exact.mapInArrow(run, CELL_FILE)
+
+
+def query_file(asked: DataFrame, width: int, block: int = QUERIES) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for number, rows in _blocks(batches, block):
+            vectors = b"".join(matrix(x, width).tobytes() for x in rows.column("exact").chunks)
+            yield pa.RecordBatch.from_pydict({"query_block": [number], "query_ids": [np.asarray(rows.column("query_id"), np.int64).tobytes()], "vectors": [vectors]})
+
+    return asked.select("query_id", "exact").mapInArrow(run, QUERY_FILE)
+
+
+def bounded(pairs: DataFrame, lo: np.ndarray, step: np.ndarray, k: int) -> DataFrame:
+    """What can be among the k best of its query, by the cells alone.  ``pairs``: a block of queries beside a block of cells."""
+    width, names = len(lo), [x.split(" ")[0] for x in FOUND.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best_s = np.full((len(q), k), -np.inf)
-        best_i = np.full((len(q), k), np.iinfo(np.int64).max)
-
-        def take(pairs_q: np.ndarray, pairs_v: np.ndarray, ids: np.ndarray, exact: np.ndarray) -> None:
-            s = np.einsum("ij,ij->i", q[pairs_q], exact[pairs_v])
-            who = ids[pairs_v]
-            rows = np.concatenate([pairs_q, np.repeat(np.arange(len(q)), k)])
-            s, who = np.concatenate([s, best_s.ravel()]), np.concatenate([who, best_i.ravel()])
-            at = np.lexsort((who, -s, rows))
-            rows, s, who = rows[at], s[at], who[at]
-            first = np.searchsorted(rows, np.arange(len(q)))
-            pick = first[:, None] + np.arange(k)
-            best_s[:], best_i[:] = s[pick], who[pick]
+        best: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for number, q_ids, q, ids, rids, codes in zip(batch.column(0).to_pylist(), *[batch.column(i) for i in range(1, 6)]):
+                q_ids, ids, rids = (np.frombuffer(x.as_buffer(), np.int64) for x in (q_ids, ids, rids))
+                q = np.frombuffer(q.as_buffer(), np.float64).reshape(-1, width)
+                codes = np.frombuffer(codes.as_buffer(), np.uint8).reshape(-1, width)
+                spread = (np.abs(q) * (step / 2)).sum(1)[:, None]
+                top = best.pop(number, None)
+                top = np.full((len(q), k), -np.inf) if top is None else top
+                for at in range(0, len(codes), SLICE):
+                    near = q @ (lo + (codes[at : at + SLICE] + 0.5) * step).T
+                    near[q_ids[:, None] == ids[None, at : at + SLICE]] = -np.inf
+                    lower = np.concatenate([near - spread, top], 1)
+                    top = np.partition(lower, lower.shape[1] - k, 1)[:, -k:]
+                    # a bound of no candidate stays below every one of a candidate
+                    who, which = np.nonzero((near + spread >= top.min(1)[:, None]) & (near > -np.inf))
+                    if len(who):
+                        x = near[who, which]
+                        yield pa.RecordBatch.from_arrays([pa.array(q_ids[who]), pa.array(rids[at + which]), pa.array(x - spread[who, 0]), pa.array(x + spread[who, 0])], names=names)
+                best[number] = top
+                if len(best) > REMEMBERED:
+                    del best[next(iter(best))]
+
+    return pairs.select("query_block", "query_ids", "vectors", "vec_ids", "rids", "cells").mapInArrow(run, FOUND)
+
+
+def scores(chosen: DataFrame, exact: DataFrame, asked: DataFrame) -> DataFrame:
+    """(query_id, vec_id, score) of the chosen (query_id, rid), from the exact file."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 2048):
-                part = batch.slice(at, 2048)
-                ids = part.column(0).to_numpy()
-                middle = lo + (_matrix(part.column(1), np.uint8, width) + 0.5) * step
-                near = q @ middle.T
-                upper = near + spread[:, None]
-                upper[q_ids[:, None] == ids[None, :]] = -np.inf
-                lower = near - spread[:, None]
-                lower[np.isneginf(upper)] = -np.inf
-                n = min(k, lower.shape[1])
-                floor_ = np.maximum(best_s[:, -1], np.partition(lower, -n, axis=1)[:, -n] if n == k else -np.inf)
-                exact = _matrix(part.column(2), np.float64, width)
-                # first the k highest bounds of each query, then what still reaches the k-th score
-                head = np.argpartition(-upper, n - 1, axis=1)[:, :n]
-                rows = np.repeat(np.arange(len(q)), n)
-                ok = upper[rows, head.ravel()] >= floor_[rows]
-                ok &= ~np.isneginf(upper[rows, head.ravel()])
-                take(rows[ok], head.ravel()[ok], ids, exact)
-                upper[np.arange(len(q))[:, None], head] = -np.inf
-                floor_ = np.maximum(floor_, best_s[:, -1])
-                open_q, open_v = np.nonzero((upper >= floor_[:, None]) & ~np.isneginf(upper))
-                down = np.argsort(-upper[open_q, open_v], kind="stable")
-                for a in range(0, len(down), 65_536):
-                    some = down[a : a + 65_536]
-                    some = some[upper[open_q[some], open_v[some]] >= best_s[open_q[some], -1]]
-                    if len(some):
-                        take(open_q[some], open_v[some], ids, exact)
-        r, c = np.nonzero(~np.isneginf(best_s))
-        if len(r):
-            yield pa.RecordBatch.from_arrays([pa.array(q_ids[r]), pa.array(best_i[r, c]), pa.array(best_s[r, c].astype(np.int64))], names=["query_id", "vec_id", "score"])
-
-    return index.mapInArrow(run, "query_id long, vec_id long, score long")
-
-
-def top_k(vectors: DataFrame, is_query, k: int = 5, cells: int = CELLS, block: int = 2048) -> DataFrame:
+            for at in range(0, batch.num_rows, 4096):
+                part = batch.slice(at, 4096)
+                x, y = matrix(part.column(2)), matrix(part.column(3))
+                n = min(x.shape[1], y.shape[1])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(np.einsum("ij,ij->i", x[:, :n], y[:, :n]).astype(np.int64))], names=["query_id", "vec_id", "score"])
+
+    wide = exact.join(chosen.select("query_id", "rid"), "rid").join(asked.withColumnRenamed("exact", "vector"), "query_id")
+    return wide.select("query_id", "vec_id", "exact", "vector").mapInArrow(run, "query_id long, vec_id long, score long")
+
+
+def top_k(vectors: DataFrame, is_query, k: int = 5, cells: int = CELLS, block: int = BLOCK, queries: int = QUERIES) -> DataFrame:
     """query_id, rank, vec_id, score.  ``vectors``: (vec_id, embedding); ``is_query``: a condition on vec_id."""
     spark = vectors.sparkSession
     ws = Workspace(spark, "vafile")
-    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
-    lo, hi = ranges(rows)
-    index = ws.keep(build(rows, lo, hi, cells), "index")
+    exact = ws.keep(exact_file(vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))), "exact")
+    lo, hi = ranges(exact)
     step = cell_step(lo, hi, cells)
-    asked = index.filter(is_query).groupBy("vec_id").agg(F.min("exact").alias("exact"))
-    # queries are numbered in blocks of at most ``block`` rows by ranges of their ids; a block is what is broadcast
-    numbered = ws.keep(asked.select("vec_id", "exact").orderBy("vec_id"), "queries")
-    parts, held = [], []
-
-    def flush() -> None:
-        if held:
-            ids = np.array([r[0] for r in held], np.int64)
-            q = np.stack([np.frombuffer(r[1], np.float64) for r in held])
-            parts.append(ws.keep(search_block(index, ids, q, lo, step, k), f"found-{len(parts)}"))
-            held.clear()
-
-    for row in numbered.toLocalIterator():
-        held.append(row)
-        if len(held) == block:
-            flush()
-    flush()
-    if not parts:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    found = parts[0]
-    for p in parts[1:]:
-        found = found.unionAll(p)
-    w = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
-    return found.withColumn("rank", F.row_number().over(w).cast("int")).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    cells_ = ws.keep(cell_file(exact, lo, step, cells, block), "cells")
+    asked = ws.keep(exact.filter(is_query).groupBy(F.col("vec_id").alias("query_id")).agg(F.min("exact").alias("exact")), "asked")
+    packed = ws.keep(query_file(asked, len(lo), queries), "queries")
+    # cell blocks are dealt to groups; every block of queries visits every group
+    n_blocks = cells_.count()
+    groups = max(1, min(n_blocks, max(int(spark.conf.get("spark.sql.shuffle.partitions")), n_blocks // 64)))
+    visits = packed.withColumn("group", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
+    found = ws.keep(bounded(cells_.withColumn("group", F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int")).join(visits, "group"), lo, step, k), "found")
+    by_query = Window.partitionBy("query_id")
+    floors = found.withColumn("nth", F.row_number().over(by_query.orderBy(F.col("lower").desc()))).filter(F.col("nth") <= k).groupBy("query_id").agg(F.min("lower").alias("floor"), F.count("*").alias("n")).filter(F.col("n") == k)
+    left = ws.keep(found.join(floors, "query_id", "left").filter("floor is null or upper >= floor").withColumn("nth", F.row_number().over(by_query.orderBy(F.col("upper").desc(), "rid"))).select("query_id", "rid", "upper", "nth"), "left")
+    first = ws.keep(scores(left.filter(F.col("nth") <= k), exact, asked), "first")
+    certain = first.groupBy("query_id").agg(F.min("score").alias("least"))
+    more = scores(left.filter(F.col("nth") > k).join(certain, "query_id").filter("upper >= least"), exact, asked)
+    ranked = first.unionAll(more).withColumn("rank", F.row_number().over(by_query.orderBy(F.col("score").desc(), "vec_id")).cast("int"))
+    return ranked.filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def op7_vector_approximation(spark: SparkSession, sf_dir: str) -> DataFrame:
