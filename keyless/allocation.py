@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from keyless import hashing as H
@@ -59,11 +59,9 @@ def rank_and_pivots(choices: list[list[int]], coded: list[dict[int, int]], m: in
     return A.match([[c for c in r if c in pivots] for r in choices]) is not None
 
 
-def longest_run(df: DataFrame, home, cells: int) -> DataFrame:
-    """Longest run of taken cells under linear probing without a ring, by sorting homes: the cell of the i-th key in order of homes
-    is i plus the running maximum of home minus rank."""
-    from pyspark.sql import Window
-
-    w = Window.orderBy("home", "id")  # the homes of one region; regions are placed apart
-    placed = df.select(home.alias("home"), F.col(df.columns[0]).alias("id")).withColumn("i", F.row_number().over(w)).withColumn("cell", F.max(F.col("home") - F.col("i")).over(w.rowsBetween(Window.unboundedPreceding, 0)) + F.col("i"))
-    return placed.agg(F.max(F.col("cell") - F.col("home")).cast("bigint").alias("longest_shift"), F.count_distinct("cell").cast("bigint").alias("cells_used"))
+def longest_run(df: DataFrame, region: str, home: str, key: str) -> DataFrame:
+    """(region, longest_shift, cells_used) under linear probing without a ring, by sorting homes: the cell of the i-th key in order of
+    homes is i plus the running maximum of home minus rank.  Regions are placed apart, so none needs more than one task."""
+    w = Window.partitionBy(region).orderBy(home, key)
+    placed = df.withColumn("__i", F.row_number().over(w)).withColumn("__cell", F.max(F.col(home) - F.col("__i")).over(w.rowsBetween(Window.unboundedPreceding, 0)) + F.col("__i"))
+    return placed.groupBy(region).agg(F.max(F.col("__cell") - F.col(home)).cast("bigint").alias("longest_shift"), F.count_distinct("__cell").alias("cells_used"))

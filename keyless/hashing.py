@@ -44,14 +44,16 @@ def draw(role: int, seed, number: int, m) -> Column:
     return F.pmod(F.xxhash64(F.lit(role).cast("bigint"), seed.cast("bigint"), F.lit(number).cast("bigint"), F.col("d1"), F.col("d2")), m.cast("bigint"))
 
 
-def slot_columns(df: DataFrame, k: int, m, seed, role: int = SLOT, prefix: str = "s", how: str = "skip") -> DataFrame:
-    """k slots below m.  ``skip``: distinct, each draw from those left; ``repeat``: with repetition."""
+def slot_columns(df: DataFrame, k: int, m, seed, role: int = SLOT, prefix: str = "s", how: str = "skip", source=None) -> DataFrame:
+    """k slots below m.  ``skip``: distinct, each draw from those left; ``repeat``: with repetition.  ``source``: another way to draw the
+    i-th number below a range."""
+    source = source or (lambda i, size: draw(role, seed, i, size))
     m = m if isinstance(m, Column) else F.lit(m)
     # a block smaller than k is never looked up by its slots; its range only has to be legal
     taken: list[Column] = []
     for i in range(k):
         name = f"{prefix}{i}"
-        df = df.withColumn(name, draw(role, seed, i, F.greatest(m - (i if how == "skip" else 0), F.lit(1))))
+        df = df.withColumn(name, source(i, F.greatest(m - (i if how == "skip" else 0), F.lit(1))))
         if how == "skip" and taken:
             c = F.col(name)
             for t in taken:
@@ -92,11 +94,11 @@ def np_draw(role: int, seed: int, number: int, d1: np.ndarray, d2: np.ndarray, m
     return np.mod(np.atleast_1d(xx_longs(role, seed, number, d1, d2)).view(np.int64), m)
 
 
-def np_slots(d1: np.ndarray, d2: np.ndarray, k: int, m: int, seed: int, role: int = SLOT, how: str = "skip") -> np.ndarray:
-    """(n, k) slots; ``swap`` gives the law of ``skip`` by swaps on an array that holds only what was touched."""
+def np_slots(d1: np.ndarray, d2: np.ndarray, k: int, m: int | np.ndarray, seed: int, role: int = SLOT, how: str = "skip") -> np.ndarray:
+    """(n, k) slots below m, one for all keys or one for each; ``swap`` (one m) gives the law of ``skip`` by swaps on an array that holds only what was touched."""
     if how == "repeat":
         return np.stack([np_draw(role, seed, i, d1, d2, m) for i in range(k)], 1)
-    raw = np.stack([np_draw(role, seed, i, d1, d2, max(m - i, 1)) for i in range(k)], 1)
+    raw = np.stack([np_draw(role, seed, i, d1, d2, np.maximum(m - i, 1)) for i in range(k)], 1)
     if how == "swap":
         out = np.empty_like(raw)
         for row, r in zip(out, raw.tolist()):
@@ -105,7 +107,12 @@ def np_slots(d1: np.ndarray, d2: np.ndarray, k: int, m: int, seed: int, role: in
                 row[i] = moved.get(x, x)
                 moved[x] = moved.get(m - 1 - i, m - 1 - i)
         return out
-    for i in range(1, k):
+    return skip_taken(raw)
+
+
+def skip_taken(raw: np.ndarray) -> np.ndarray:
+    """Draws from ever smaller ranges as slots: each is a place among the slots that are not yet taken."""
+    for i in range(1, raw.shape[1]):
         taken = np.sort(raw[:, :i], axis=1)
         for j in range(i):
             raw[:, i] += raw[:, i] >= taken[:, j]

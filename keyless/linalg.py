@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import random
 
+import numpy as np
+
 
 def eliminate(rows: list[list[int]], values: list[int] | None = None) -> tuple[dict[int, tuple[int, int]], bool]:
     """Echelon form by least column: pivot column to (row, value).  False where the rows are dependent."""
@@ -55,6 +57,38 @@ def solve2(rows: list[list[int]], values: list[int], m: int, width: int) -> tupl
     return [sum((planes[b] >> j & 1) << b for b in range(width)) for j in range(m)], sorted(pivots)
 
 
+def bit_rows(block: np.ndarray, row: np.ndarray, cell: np.ndarray, values: np.ndarray, shape: tuple[int, int, int]) -> np.ndarray:
+    """Systems of one shape (blocks, rows, slots) as words: bit ``cell`` of row ``row`` of block ``block`` is flipped for each entry,
+    and the value of a row stands in its last word.  ``values``: (blocks, rows)."""
+    b, n, m = shape
+    out = np.zeros((b, n, -(-m // 64) + 1), np.uint64)
+    np.bitwise_xor.at(out, (block, row, cell >> 6), np.uint64(1) << (cell & 63).astype(np.uint64))
+    out[:, :, -1] = values
+    return out
+
+
+def solve_batch(words: np.ndarray, m: int) -> tuple[np.ndarray, np.ndarray]:
+    """(slots, which slots are pivots) of all systems at once, columns in ascending order, free slots zero; the rows of a system are
+    independent where it has as many pivots as rows.  Rows without entries are no rows.  ``words`` is used up."""
+    at = np.arange(len(words))
+    used = np.zeros(words.shape[:2], bool)
+    row = np.full((len(words), m), -1)
+    for c in range(m):
+        bit = (words[:, :, c >> 6] >> np.uint64(c & 63)) & np.uint64(1)
+        free = (bit != 0) & ~used
+        first = free.argmax(1)
+        has = free[at, first]
+        if not has.any():
+            continue
+        used[at[has], first[has]] = True
+        row[has, c] = first[has]
+        bit[at, first] = 0
+        bit[~has] = 0
+        words ^= words[at, first][:, None, :] * bit[:, :, None]
+    pivots = row >= 0
+    return np.where(pivots, words[at[:, None], row, -1], np.uint64(0)), pivots
+
+
 def peel_order(rows: list[list[int]], m: int) -> list[tuple[int, int]] | None:
     """(row, its own slot) from the last to be set to the first, or None where a core is left."""
     degree, mixed = [0] * m, [0] * m

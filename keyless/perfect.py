@@ -41,10 +41,9 @@ def _pass(plan: S.Plan, peel: bool, batches: Iterator[pa.RecordBatch]) -> Iterat
                 break
         if done is None:
             raise S.BuildError(f"block {block} with {len(d1)} keys has no perfect hash")
-        marks = sum(1 << c for c in done[2])
-        used = [(w - (1 << 64) if w >> 63 else w) for w in ((marks >> 64 * i) & (1 << 64) - 1 for i in range(-(-m // 64)))]
-        before = np.r_[0, np.cumsum([(w & (1 << 64) - 1).bit_count() for w in used])[:-1]].astype(int).tolist()
-        out.append({"block": block, "n_keys": len(d1), "n_slots": m, "seed": done[0], "status": S.GOOD, "words": S.pack(done[1], plan.width), "used": used, "before": before, "first": 0})
+        # the few slots that no key has, in order; a slot's rank is the slot less those of them before it
+        before = sorted(set(range(m)) - set(done[2]))
+        out.append({"block": block, "n_keys": len(d1), "n_slots": m, "seed": done[0], "status": S.GOOD, "words": S.pack(done[1], plan.width), "used": [], "before": before, "first": 0})
         if len(out) == 512:
             yield S._segment_batch(out)
             out = []
@@ -82,9 +81,10 @@ def phash(df: DataFrame, ph: S.Store, keys: list[str] | None = None, out: str =
     got = S.read_slots(replace_plan(ph), joined, "__code")
     code = F.pmod(F.col("__code"), F.lit(p.k))
     slot = F.coalesce(*[F.when(code == i, F.col(f"__s{i}")) for i in range(p.k)])
+    got = got.withColumn("__slot", slot)
+    slot = F.col("__slot")
     if ph.minimal:
-        word, bit = F.try_element_at("used", (slot / 64).cast("int") + 1), (slot % 64).cast("int")
-        slot = F.least(F.try_element_at("before", (slot / 64).cast("int") + 1) + F.bit_count(word.bitwiseAND(F.bitwise_not(F.call_function("shiftleft", F.lit(-1).cast("bigint"), bit)))), F.col("n_keys") - 1)
+        slot = F.least(F.col("__slot") - F.size(F.filter("before", lambda x: x < F.col("__slot"))), F.col("n_keys") - 1)
     return got.select("__own.*", (F.col("first") + slot).cast("bigint").alias(out))
 
 
@@ -101,3 +101,10 @@ def build_ordered(df: DataFrame, key: str, order: list, plan: S.Plan | None = No
     numbered = ranged.join(F.broadcast(base), "part").withColumn("ordinal", F.col("base") + F.col("at") - F.col("zero"))
     n = ranged.count()
     return S.build(numbered, [key], F.col("ordinal"), plan or S.Plan(width=max(1, math.ceil(math.log2(n + 1)))))
+
+
+def hash_bits(ph: S.Store) -> DataFrame:
+    """(n, choice_bits, rank_bits): the choices of the slots, and the slots that no key has for the minimal form."""
+    width = F.ceil(F.log2(F.col("n_slots") + 1))
+    rank = F.sum(F.size("before") * width) if ph.minimal else F.lit(0)
+    return ph.segments.agg(F.sum("n_keys").cast("bigint").alias("n"), (F.sum("n_slots") * ph.plan.width).cast("bigint").alias("choice_bits"), rank.cast("bigint").alias("rank_bits"))

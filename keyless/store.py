@@ -34,13 +34,18 @@ class BuildError(RuntimeError):
     """The tries are used up."""
 
 
+def least_slots(k: int, n: int, m: int) -> int:
+    """m, or more where it leaves rows of k slots no choice: two rows of k slots out of k are equal whatever is drawn."""
+    return max(k + 2 * (n > 1), m)
+
+
 @dataclass(frozen=True)
 class Plan:
     """How a store is built.
 
     kind: ``sparse`` rows of k distinct slots; ``square`` as many slots as keys and rows of about 2 log n; ``peel`` rows of k slots
     solved in linear time; ``peel_add`` the same with addition modulo 2^width; ``repeat`` draws with repetition; ``field`` sums over the
-    prime field on sets ``kary``, ``two_runs`` or ``probe_run``."""
+    prime field on sets ``kary``, ``two_runs`` or ``probe_run``.  weights: rule of the row weights of ``square``, see ``weight_cuts``."""
 
     width: int = 8
     k: int = 4
@@ -56,6 +61,12 @@ class Plan:
     compressed: bool = False
     equal_segments: bool = False
     prime: int = H.PRIME
+    weights: str = "inverse"
+
+    @property
+    def cell_bits(self) -> int:
+        """Bits of a slot: those of a value, or of an element of the field."""
+        return (self.prime - 1).bit_length() if self.kind == "field" else self.width
 
     def slots_for(self, n: int) -> int:
         if not n:
@@ -64,7 +75,7 @@ class Plan:
             return n
         base = self.block * (1 + self.headroom) if self.equal_segments else n
         extra = 2 * self.run if self.kind == "field" and self.sets != "kary" else 0
-        return max(self.k, math.ceil((1 + self.slack) * base)) + extra
+        return least_slots(self.k, n, math.ceil((1 + self.slack) * base)) + extra
 
 
 @dataclass
@@ -78,7 +89,10 @@ class Store:
     decode: Callable[[Column], Column] = field(default=lambda c: c)
 
     def size_bytes(self) -> int:
-        return int(self.n_keys * (1 + self.plan.slack) * max(self.plan.width, 1) / 8) + 80 * self.blocks
+        """Bytes of the segments in memory, from above: words, marks and ranks, and what a row takes by itself."""
+        slots = self.plan.slots_for(self.plan.block) * self.blocks + self.n_keys * (1 + self.plan.slack)
+        each = 64 / (64 // max(self.plan.cell_bits, 1))
+        return int(slots * (each + (1.5 if self.plan.compressed else 0)) / 8) + 160 * self.blocks
 
 
 def normalise(df: DataFrame, keys: list[str], value: Column | None, on_conflict: str = "error") -> DataFrame:
@@ -91,27 +105,36 @@ def normalise(df: DataFrame, keys: list[str], value: Column | None, on_conflict:
     return met.select("d1", "d2", F.col("value" if on_conflict == "min" else "other").alias("value"))
 
 
-def rows_of_block(plan: Plan, d1: np.ndarray, d2: np.ndarray, m: int, seed: int) -> list:
-    """The sparse rows of a block: lists of slots, or maps from slot to coefficient for fields."""
-    n = len(d1)
-    if plan.kind == "square":
-        weight = H.np_weights(d1, d2, max(n, 3), seed)
-        out = []
-        for i, w in enumerate(weight.tolist()):
-            w = min(w, m)
-            out.append(H.np_slots(d1[i : i + 1], d2[i : i + 1], w, m, seed)[0].tolist())
-        return out
-    if plan.kind == "field":
-        cells = field_cells(plan, d1, d2, m, seed)
-        out = []
-        for i in range(n):
-            row: dict[int, int] = {}
-            for j, c in enumerate(cells[i].tolist()):
-                g = int(H.np_draw(H.FIELD, seed, j, d1[i : i + 1], d2[i : i + 1], plan.prime)[0])
-                row[c] = (row.get(c, 0) + g) % plan.prime
-            out.append(row)
-        return out
-    return H.np_slots(d1, d2, plan.k, m, seed, how="repeat" if plan.kind == "repeat" else "skip").tolist()
+def entries(plan: Plan, d1: np.ndarray, d2: np.ndarray, n: np.ndarray, m: np.ndarray, seed: int) -> tuple[np.ndarray, np.ndarray]:
+    """(key, slot) of all ones of the rows of many keys; ``n`` and ``m``: keys and slots of the block of each."""
+    if plan.kind != "square":
+        cells = H.np_slots(d1, d2, plan.k, m, seed, how="repeat" if plan.kind == "repeat" else "skip")
+        return np.repeat(np.arange(len(d1)), plan.k), cells.ravel()
+    weight = np.empty(len(d1), np.int64)
+    for size in np.unique(n).tolist():
+        at = np.flatnonzero(n == size)
+        weight[at] = H.np_weights(d1[at], d2[at], max(size, 3), seed, plan.weights)
+    weight = np.minimum(weight, m)
+    keys, cells = [], []
+    # keys of one weight are drawn together
+    for w in np.unique(weight).tolist():
+        at = np.flatnonzero(weight == w)
+        keys.append(np.repeat(at, w))
+        cells.append(H.np_slots(d1[at], d2[at], w, m[at], seed).ravel())
+    return np.concatenate(keys), np.concatenate(cells)
+
+
+def field_rows(plan: Plan, d1: np.ndarray, d2: np.ndarray, m: int, seed: int) -> list[dict[int, int]]:
+    """Maps from slot to coefficient."""
+    cells = field_cells(plan, d1, d2, m, seed)
+    factors = np.stack([H.np_draw(H.FIELD, seed, j, d1, d2, plan.prime) for j in range(cells.shape[1])], 1).tolist()
+    out = []
+    for own, given in zip(cells.tolist(), factors):
+        row: dict[int, int] = {}
+        for c, g in zip(own, given):
+            row[c] = (row.get(c, 0) + g) % plan.prime
+        out.append(row)
+    return out
 
 
 def field_cells(plan: Plan, d1: np.ndarray, d2: np.ndarray, m: int, seed: int) -> np.ndarray:
@@ -133,28 +156,76 @@ def pack(slots: list[int], width: int) -> list[int]:
     return out
 
 
-def solve_block(plan: Plan, d1: np.ndarray, d2: np.ndarray, values: list[int]) -> tuple[int, int, int, list[int], list[int]]:
-    """(slots, seed, status, solution, pivots)."""
-    n = len(d1)
-    m = plan.slots_for(n)
-    if plan.headroom and n > (1 + plan.headroom) * plan.block or m < plan.k:
-        return (m if plan.equal_segments else 0), 0, OVER, [], []
-    for t in range(plan.tries):
-        seed = plan.seed * 1000 + t
-        rows = rows_of_block(plan, d1, d2, m, seed)
-        if plan.kind in ("peel", "peel_add"):
-            got = A.peel_solve(rows, values, m, "xor" if plan.kind == "peel" else "add", 1 << plan.width)
-            if got is not None:
-                return m, t, GOOD, got, list(range(m))
-        elif plan.kind == "field":
-            found = A.solve_field(rows, values, m, plan.prime)
-            if found:
-                return m, t, GOOD, *found
+#: Words of the systems that are eliminated together, and keys that are gathered for it.
+BATCH_WORDS, BATCH_KEYS = 1 << 17, 1 << 15
+#: Keys beyond which a system is eliminated by itself.
+ONE_SYSTEM = 2048
+Part = tuple[np.ndarray, np.ndarray, np.ndarray]
+
+
+def solve_blocks(plan: Plan, parts: list[Part]) -> list[tuple[int, int, int, list[int], list[int]]]:
+    """(slots, seed, status, solution, pivots) of each block (d1, d2, values)."""
+    out: list = [None] * len(parts)
+    size = {}
+    for i, (d1, _, _) in enumerate(parts):
+        m = plan.slots_for(len(d1))
+        if plan.headroom and len(d1) > (1 + plan.headroom) * plan.block or m < plan.k:
+            out[i] = (m if plan.equal_segments else 0), 0, OVER, [], []
         else:
-            found = A.solve2(rows, values, m, plan.width)
-            if found:
-                return m, t, GOOD, *found
-    return (m if plan.equal_segments else 0), plan.tries, OVER, [], []
+            size[i] = m
+    for t in range(plan.tries):
+        live = sorted((i for i in size if out[i] is None), key=lambda i: (size[i], len(parts[i][0])))
+        while live:
+            # blocks of like size side by side, so that little is padding
+            some, live = _batch(live, size, parts)
+            for i, found in zip(some, _solve_some(plan, [parts[i] for i in some], [size[i] for i in some], plan.seed * 1000 + t)):
+                if found:
+                    out[i] = (size[i], t, GOOD, *found)
+    return [(plan.slots_for(len(parts[i][0])) if plan.equal_segments else 0, plan.tries, OVER, [], []) if x is None else x for i, x in enumerate(out)]
+
+
+def _batch(live: list[int], size: dict[int, int], parts: list[Part]) -> tuple[list[int], list[int]]:
+    k, n = 0, 0
+    while k < len(live):
+        n = max(n, len(parts[live[k]][0]))
+        if k and (k + 1) * n * (size[live[k]] // 64 + 2) > BATCH_WORDS:
+            break
+        k += 1
+    return live[:k], live[k:]
+
+
+def _solve_some(plan: Plan, parts: list[Part], sizes: list[int], seed: int) -> Iterator[tuple[list[int], list[int]] | None]:
+    if plan.kind in ("peel", "peel_add"):
+        for (d1, d2, values), m in zip(parts, sizes):
+            got = A.peel_solve(H.np_slots(d1, d2, plan.k, m, seed).tolist(), values.tolist(), m, "xor" if plan.kind == "peel" else "add", 1 << plan.width)
+            yield None if got is None else (got, list(range(m)))
+        return
+    if plan.kind == "field":
+        for (d1, d2, values), m in zip(parts, sizes):
+            yield A.solve_field(field_rows(plan, d1, d2, m, seed), values.tolist(), m, plan.prime)
+        return
+    if len(parts) == 1 and len(parts[0][0]) > ONE_SYSTEM:
+        # one large system is mostly zeros for long; rows as long integers only meet the rows they need
+        (d1, d2, values), m = parts[0], sizes[0]
+        key, cell = entries(plan, d1, d2, np.full(len(d1), len(d1)), np.full(len(d1), m), seed)
+        cuts = np.searchsorted(key[order := np.argsort(key, kind="stable")], np.arange(len(d1) + 1)).tolist()
+        cell = cell[order].tolist()
+        yield A.solve2([cell[a:b] for a, b in zip(cuts[:-1], cuts[1:])], values.tolist(), m, plan.width)
+        return
+    counts = np.array([len(p[0]) for p in parts])
+    block = np.repeat(np.arange(len(parts)), counts)
+    row = np.arange(len(block)) - np.repeat(np.cumsum(counts) - counts, counts)
+    key, cell = entries(plan, np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]), counts[block], np.array(sizes)[block], seed)
+    yield from solve_systems(block, row, key, cell, np.concatenate([p[2] for p in parts]), counts, sizes)
+
+
+def solve_systems(block: np.ndarray, row: np.ndarray, key: np.ndarray, cell: np.ndarray, values: np.ndarray, counts: np.ndarray, sizes: list[int]) -> Iterator[tuple[list[int], list[int]] | None]:
+    """Slots and pivots of each system, or None where its rows are dependent.  ``block`` and ``row``: of each key; ``key`` and ``cell``: of each entry."""
+    wide = np.zeros((len(counts), int(counts.max())), np.uint64)
+    wide[block, row] = values.astype(np.int64).view(np.uint64)
+    slots, pivots = A.solve_batch(A.bit_rows(block[key], row[key], cell, wide, (*wide.shape, max(sizes))), max(sizes))
+    for i, m in enumerate(sizes):
+        yield (slots[i, :m].tolist(), np.flatnonzero(pivots[i]).tolist()) if pivots[i].sum() == counts[i] else None
 
 
 def per_block(batches: Iterator[pa.RecordBatch], columns: list[str]) -> Iterator[tuple[int, list[np.ndarray]]]:
@@ -217,18 +288,36 @@ def overflow_store(rows: DataFrame, keys: list[str], plan: Plan) -> Store:
     raise BuildError("the overflow store did not settle")
 
 
+def solved(solve: Callable[[list[Part]], list], batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, int, tuple]]:
+    """(block, keys, solution), blocks being solved some at a time."""
+    held: list[tuple[int, list]] = []
+
+    def flush() -> Iterator[tuple[int, int, tuple]]:
+        for (b, p), x in zip(held, solve([p for _, p in held])):
+            yield b, len(p[0]), x
+        held.clear()
+
+    n = 0
+    for block, part in per_block(batches, ["d1", "d2", "value"]):
+        held.append((block, part))
+        n += len(part[0])
+        if n >= BATCH_KEYS:
+            yield from flush()
+            n = 0
+    yield from flush()
+
+
 def _pass(plan: Plan, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     out = []
-    for block, (d1, d2, value) in per_block(batches, ["d1", "d2", "value"]):
-        m, t, status, slots, pivots = solve_block(plan, d1, d2, value.tolist())
+    for block, n_keys, (m, t, status, slots, pivots) in solved(functools.partial(solve_blocks, plan), batches):
         used, before = [], []
         if plan.compressed and status == GOOD:
             slots = [slots[p] for p in pivots]
             marks = sum(1 << p for p in pivots)
             used = [(w - (1 << 64) if w >> 63 else w) for w in ((marks >> 64 * i) & (1 << 64) - 1 for i in range(-(-m // 64)))]
             before = np.r_[0, np.cumsum([int(w & (1 << 64) - 1).bit_count() for w in used])[:-1]].astype(int).tolist()
-        words = slots if plan.kind == "field" else pack(slots, plan.width)
-        out.append({"block": block, "n_keys": len(d1), "n_slots": m, "seed": t, "status": status, "words": words, "used": used, "before": before, "first": 0})
+        words = pack(slots, plan.cell_bits)
+        out.append({"block": block, "n_keys": n_keys, "n_slots": m, "seed": t, "status": status, "words": words, "used": used, "before": before, "first": 0})
         if len(out) == 512:
             yield _segment_batch(out)
             out = []
@@ -256,7 +345,8 @@ def _compensated(rows: DataFrame, keys: list[str], plan: Plan, blocks: int, n: i
 def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
     """Answer of the segment that was joined to each row."""
     plan = store.plan
-    mask = (1 << plan.width) - 1 if plan.width < 63 else (1 << 63) - 1
+    bits = plan.cell_bits
+    mask = (1 << bits) - 1 if bits < 63 else (1 << 63) - 1
 
     def cell(j: Column) -> Column:
         if plan.compressed:
@@ -268,8 +358,8 @@ def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
         return packed(j)
 
     def packed(j: Column) -> Column:
-        q = 64 // plan.width
-        return F.call_function("shiftrightunsigned", F.try_element_at("words", F.floor(j / q).cast("int") + 1), (j % q * plan.width).cast("int")).bitwiseAND(F.lit(mask))
+        q = 64 // bits
+        return F.call_function("shiftrightunsigned", F.try_element_at("words", F.floor(j / q).cast("int") + 1), (j % q * bits).cast("int")).bitwiseAND(F.lit(mask))
 
     seed = F.lit(plan.seed * 1000) + F.col("seed")
     # not deterministic to Catalyst, so filters and join keys on the answer are not rewritten over the draws, which would repeat them beyond compiled code
@@ -286,7 +376,7 @@ def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
             cells = [F.col(f"__r{i}") + j for i in range(len(starts)) for j in range(plan.run)]
         total = F.lit(0).cast("bigint")
         for i, c in enumerate(cells):
-            total = F.pmod(total + H.draw(H.FIELD, seed, i, plan.prime) * F.try_element_at("words", c.cast("int") + 1), F.lit(plan.prime))
+            total = F.pmod(total + H.draw(H.FIELD, seed, i, plan.prime) * packed(c), F.lit(plan.prime))
         return df.withColumn(out, F.when(good, total))
     df = H.slot_columns(df, plan.k, F.col("n_slots"), seed, prefix="__s", how="repeat" if plan.kind == "repeat" else "skip")
     total = None
@@ -302,7 +392,7 @@ def _square_lookup(store: Store, df: DataFrame, out: str, cell: Callable, seed:
     """Rows of a square block have a varying weight, so slots are folded in an array: draws, skip rule, XOR."""
     # the cuts depend on the number of keys of the block, which has few values
     sizes = [r[0] for r in store.segments.select("n_keys").distinct().collect()]  # at most a block's size
-    tables = {n: H.weight_cuts(max(n, 3)) for n in sizes}
+    tables = {n: H.weight_cuts(max(n, 3), rule=store.plan.weights) for n in sizes}
     u = H.draw(H.WEIGHT, seed, 0, 2**62)
     spark = df.sparkSession
     cut_rows = spark.createDataFrame([(int(n), int(lo), [int(x) for x in cuts]) for n, (lo, cuts) in tables.items()], "n_keys int, lo int, cuts array<long>")
@@ -354,11 +444,56 @@ def long_form(store: Store) -> DataFrame:
 
 
 def lookup_long(df: DataFrame, store: Store, key: str, out: str = "value") -> DataFrame:
-    """Lookup by relations only: k rows a key meet the long form and are summed by XOR."""
-    rows = H.digests(df.select(key).distinct(), [key]).withColumn("block", H.draw(H.BLOCK, store.plan.seed, 0, store.blocks)).join(store.segments.filter(F.col("status") == GOOD).select("block", "n_slots", "seed"), "block")
-    rows = H.slot_columns(rows, store.plan.k, F.col("n_slots"), F.lit(store.plan.seed * 1000) + F.col("seed"), prefix="__s")
-    cells = rows.select(key, "block", F.explode(F.array(*[F.col(f"__s{i}") for i in range(store.plan.k)])).alias("slot"))
-    return cells.join(long_form(store), ["block", "slot"]).groupBy(key).agg(F.bit_xor("val").alias(out))
+    """(key, value) of the distinct keys by relations only: k rows a key meet the long form and are summed by XOR.  A key whose block is
+    empty gets zero, one whose block was given up the answer of the overflow store; null keys give no row."""
+    if store.plan.kind not in ("sparse", "peel", "repeat") or store.plan.compressed:
+        raise ValueError(f"no long form of {store.plan.kind} segments")
+    keys = H.digests(df.select(F.col(key).alias("__key")).filter(F.col(key).isNotNull()).distinct(), ["__key"])
+    got = _long(keys, store)
+    if store.overflow is not None:
+        second = _long(keys if store.plan.combine == "compensate" else got.filter(F.col("status") == OVER).select("__key", "d1", "d2"), store.overflow).select("__key", F.col("value").alias("second"))
+        got = got.join(second, "__key", "left").withColumn("value", F.coalesce("value", F.lit(0).cast("bigint")).bitwiseXOR(F.coalesce("second", F.lit(0).cast("bigint"))))
+    return got.select(F.col("__key").alias(key), F.coalesce("value", F.lit(0).cast("bigint")).alias(out))
+
+
+def _long(keys: DataFrame, store: Store) -> DataFrame:
+    """(__key, d1, d2, status, value); no value where there is no good block."""
+    here = keys.withColumn("block", H.draw(H.BLOCK, store.plan.seed, 0, store.blocks)).join(store.segments.select("block", "status", "n_slots", "seed"), "block", "left")
+    rows = H.slot_columns(here.filter(F.col("status") == GOOD), store.plan.k, F.col("n_slots"), F.lit(store.plan.seed * 1000) + F.col("seed"), prefix="__s", how="repeat" if store.plan.kind == "repeat" else "skip")
+    cells = rows.select("__key", "block", F.explode(F.array(*[F.col(f"__s{i}") for i in range(store.plan.k)])).alias("slot"))
+    found = cells.join(long_form(store), ["block", "slot"]).groupBy("__key").agg(F.bit_xor("val").alias("value"))
+    return here.select("__key", "d1", "d2", "status").join(found, "__key", "left")
+
+
+def flatten(store: Store) -> DataFrame:
+    """(pos, val): the slots of the segments and of the overflow store behind one another, as one array.  Segments have one size."""
+    width = store.plan.slots_for(store.plan.block)
+    own = long_form(store).select((F.col("block") * width + F.col("slot")).alias("pos"), "val")
+    if store.overflow is None:
+        return own
+    second = long_form(store.overflow).join(F.broadcast(_firsts(store)), "block").select((F.col("at") + F.col("slot")).alias("pos"), "val")
+    return own.unionAll(second)
+
+
+def _firsts(store: Store) -> DataFrame:
+    """(block, n_slots, seed, at): where the segments of the overflow store begin in the one array; a row for each of its blocks."""
+    from pyspark.sql import Window
+
+    before = F.sum("n_slots").over(Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1))
+    return store.overflow.segments.select("block", "n_slots", "seed", (F.lit(store.blocks * store.plan.slots_for(store.plan.block)) + F.coalesce(before, F.lit(0))).cast("bigint").alias("at"))
+
+
+def flat_slots(keys: DataFrame, store: Store) -> DataFrame:
+    """``keys`` (with d1, d2) and the places of the array that their sum reads: slots of a segment and of the overflow store."""
+    columns = [c for c in keys.columns if c not in ("d1", "d2")]
+    width, out = store.plan.slots_for(store.plan.block), None
+    starts = store.segments.select("block", "n_slots", "seed", (F.col("block") * width).alias("at"))
+    for st, first in ((store, starts), *(((store.overflow, _firsts(store)),) if store.overflow is not None else ())):
+        rows = keys.withColumn("block", H.draw(H.BLOCK, st.plan.seed, 0, st.blocks)).join(first.filter("n_slots > 0"), "block")
+        rows = H.slot_columns(rows, st.plan.k, F.col("n_slots"), F.lit(st.plan.seed * 1000) + F.col("seed"), prefix="__s")
+        some = rows.select(*columns, F.explode(F.array(*[F.col("at") + F.col(f"__s{i}") for i in range(st.plan.k)])).alias("pos"))
+        out = some if out is None else out.unionAll(some)
+    return out
 
 
 def verify(store: Store, df: DataFrame, value: Column) -> DataFrame:
@@ -368,7 +503,31 @@ def verify(store: Store, df: DataFrame, value: Column) -> DataFrame:
 
 
 def logical_bits(store: Store) -> DataFrame:
-    """Bits of slots, seeds, sizes and rank tables, by the definition of the measure."""
+    """Bits of slots, seeds, sizes and rank tables, by the definition of the measure; those of the overflow store count too.
+
+    A segment's size and seed take what their ranges need, a status bit is there where there is an overflow store, and a rank table
+    takes a bit a slot and, for each 64 of them, a number up to the slots."""
+    p = store.plan
+    rank = F.size("used") * (64 + F.ceil(F.log2(F.col("n_slots") + 1)))
+    slots = F.when(F.size("used") > 0, F.col("n_keys") * p.width + rank).otherwise(F.col("n_slots") * p.cell_bits)
+    side = math.ceil(math.log2(p.slots_for(2 * p.block) + 2)) + math.ceil(math.log2(p.tries + 1)) + (store.overflow is not None and p.combine == "flag")
+    kept = F.when((F.col("status") == GOOD) | F.lit(p.equal_segments), slots).otherwise(0)
+    own = store.segments.agg(F.coalesce(F.sum(kept), F.lit(0)).cast("bigint").alias("slot_bits"), (F.count("*") * side).cast("bigint").alias("side_bits"), F.coalesce(F.sum("n_keys"), F.lit(0)).cast("bigint").alias("n"))
+    if store.overflow is None:
+        return own
+    second = logical_bits(store.overflow).select("slot_bits", "side_bits", F.lit(0).cast("bigint").alias("n"))
+    return own.unionAll(second).agg(*[F.sum(c).cast("bigint").alias(c) for c in ("slot_bits", "side_bits", "n")])
+
+
+def stored_bits(store: Store) -> int:
+    """Bits of the segments as they stand in memory: whole words, marks, 32-bit ranks, and the columns of a row."""
+    one = store.segments.agg(F.sum(64 * F.size("words") + 64 * F.size("used") + 32 * F.size("before") + 64 + 4 * 32)).first()[0] or 0
+    return int(one) + (stored_bits(store.overflow) if store.overflow is not None else 0)
+
+
+def reads(store: Store) -> tuple[int, bool]:
+    """(slots read by a lookup at most, whether they depend on what was read before)."""
     p = store.plan
-    slots = F.sum(F.when(F.col("status") == GOOD, F.when(F.size("used") > 0, F.col("n_keys") * p.width + F.size("used") * 64 + F.size("before") * 16).otherwise(F.col("n_slots") * p.width)).otherwise(0))
-    return store.segments.agg(slots.cast("bigint").alias("slot_bits"), (F.count("*") * (math.ceil(math.log2(p.block * 2 + 2)) + math.ceil(math.log2(p.tries + 1)))).cast("bigint").alias("side_bits"), F.sum("n_keys").cast("bigint").alias("n"))
+    own = {"square": min(p.slots_for(2 * p.block), int(4 * math.log(max(p.block, 3)))), "field": p.k if p.sets == "kary" else p.run * (2 if p.sets == "two_runs" else 1)}.get(p.kind, p.k)
+    second = store.overflow.plan.k if store.overflow is not None else 0
+    return own + second, p.compressed or bool(second) and p.combine == "flag"

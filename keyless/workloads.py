@@ -41,13 +41,14 @@ def check_sql(name: str, n: str) -> str:
     return f"SELECT '{name}' AS check_name, ({n})::BIGINT AS n, 0::BIGINT AS violations, true AS ok"
 
 
-def retrieval(name: str, table: str, keys: list[str], value: str, codec, plan: S.Plan, kind: str = "", spark_value: str | None = None, on_conflict: str = "error") -> None:
-    """Register a lookup of ``value`` by ``keys`` on its own table."""
+def retrieval(name: str, table: str, keys: list[str], value: str, codec, plan: S.Plan, spark_value: str | None = None, on_conflict: str = "error", one_system: bool = False) -> None:
+    """Register a lookup of ``value`` by ``keys`` on its own table; ``one_system``: all keys in one block."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         df = read(spark, sf_dir, table).withColumn("v", F.expr(spark_value or value))
         c = codecs.dictionary(df, "v") if codec == "dictionary" else codec
-        st = S.build(df, keys, c.encode(F.col("v")), replace(plan, width=max(c.width, 31 if plan.kind == "field" else 1)), on_conflict)
+        given = replace(plan, width=c.width, block=max(df.count(), 1) if one_system else plan.block)
+        st = S.build(df, keys, c.encode(F.col("v")), given, on_conflict, blocks=1 if one_system else None)
         st.decode = c.decode
         return S.lookup(df.select(*keys), st, out="v")
 
@@ -63,16 +64,18 @@ retrieval("order_priority_compensated", "orders", ["o_orderkey"], "o_orderpriori
 retrieval("order_priority_one_try", "orders", ["o_orderkey"], "o_orderpriority", "dictionary", S.Plan(block=64, headroom=0.25, tries=1))
 retrieval("part_size_square", "part", ["p_partkey"], "p_size", codecs.offset(1, 6), S.Plan(kind="square", block=128, tries=64))
 retrieval("part_brand_compressed", "part", ["p_partkey"], "p_brand", "dictionary", S.Plan(compressed=True))
-retrieval("customer_nation_basic", "customer", ["c_custkey"], "c_nationkey", codecs.offset(0, 5), S.Plan(block=1024, k=4, slack=0.06))
-retrieval("customer_nation_split", "customer", ["c_custkey"], "c_nationkey", codecs.offset(0, 5), S.Plan(block=32, k=4, slack=0.2, tries=32))
+retrieval("customer_nation_basic", "customer", ["c_custkey"], "c_nationkey", codecs.offset(0, 5), S.Plan(k=4, slack=0.06, tries=16), one_system=True)
 retrieval("supplier_weight_two", "supplier", ["s_suppkey"], "s_nationkey", codecs.offset(0, 5), S.Plan(block=32, k=2, slack=1.2, tries=32))
 retrieval("supplier_peel_xor", "supplier", ["s_suppkey"], "s_nationkey", codecs.offset(0, 5), S.Plan(kind="peel", k=3, slack=0.35, block=1024, tries=16))
 retrieval("supplier_peel_add", "supplier", ["s_suppkey"], "s_nationkey", codecs.offset(0, 5), S.Plan(kind="peel_add", k=3, slack=0.35, block=1024, tries=16))
 retrieval("order_priority_peel", "orders", ["o_orderkey"], "o_orderpriority", "dictionary", S.Plan(kind="peel", k=3, slack=0.23, block=4096, tries=32))
 retrieval("order_priority_repeat_rows", "orders", ["o_orderkey"], "o_orderpriority", "dictionary", S.Plan(kind="repeat", slack=0.12))
-retrieval("order_status_field", "orders", ["o_orderkey"], "o_orderstatus", "dictionary", S.Plan(kind="field", sets="two_runs", block=64, slack=0.1))
-retrieval("order_status_field_kary", "orders", ["o_orderkey"], "o_orderstatus", "dictionary", S.Plan(kind="field", sets="kary", block=64, slack=0.1))
-retrieval("part_size_probe_run", "part", ["p_partkey"], "p_size", codecs.offset(1, 6), S.Plan(kind="field", sets="probe_run", run=16, block=64, slack=0.4))
+retrieval("order_status_field", "orders", ["o_orderkey"], "o_orderstatus", "dictionary", S.Plan(kind="field", sets="two_runs", block=64, slack=0.1, prime=257))
+retrieval("order_status_field_kary", "orders", ["o_orderkey"], "o_orderstatus", "dictionary", S.Plan(kind="field", sets="kary", block=64, slack=0.1, prime=257))
+retrieval("part_size_probe_run", "part", ["p_partkey"], "p_size", codecs.offset(1, 6), S.Plan(kind="field", sets="probe_run", run=16, block=64, slack=0.4, prime=257))
+retrieval("order_date_probe_run", "orders", ["o_orderkey"], "o_orderdate::DATE", codecs.days(), S.Plan(kind="field", sets="probe_run", run=16, block=64, slack=0.4, prime=65537), spark_value="cast(o_orderdate as date)")
+retrieval("part_size_square_midpoint", "part", ["p_partkey"], "p_size", codecs.offset(1, 6), S.Plan(kind="square", block=128, tries=64, weights="midpoint"))
+retrieval("supplier_peel_wide", "supplier", ["s_suppkey"], "s_nationkey", codecs.offset(0, 5), S.Plan(kind="peel", k=3, slack=2.05, block=1024, tries=4))
 retrieval("order_date_lookup", "orders", ["o_orderkey"], "o_orderdate::DATE", codecs.days(), SPARSE, spark_value="cast(o_orderdate as date)")
 retrieval("lineitem_composite_lookup", "lineitem", ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], "min(l_returnflag) OVER (PARTITION BY l_orderkey, l_partkey, l_suppkey, l_linenumber)", "dictionary", SPARSE, spark_value="l_returnflag", on_conflict="min")
 retrieval("turn_role_lookup", "conversations", ["conv_id", "turn"], "role", "dictionary", SPARSE)
@@ -84,7 +87,7 @@ retrieval("vector_label_lookup", "embeddings", ["vec_id"], "label", codecs.offse
 def label_lookup_basic(spark, sf_dir):
     df = read(spark, sf_dir, "labels")
     width, encode, decode = codecs.pair(codecs.bit(), codecs.bit())
-    st = S.build(df, ["doc_id"], encode(F.col("quality"), F.col("toxic")), S.Plan(width=width, block=512))
+    st = S.build(df, ["doc_id"], encode(F.col("quality"), F.col("toxic")), S.Plan(width=width, block=max(df.count(), 1), tries=16), blocks=1)
     a, b = decode(F.col("v"))
     return S.lookup(df.select("doc_id"), st, out="v").select("doc_id", a.alias("quality"), b.alias("toxic"))
 
