@@ -8,8 +8,9 @@ still open, around the ends of repeated passages, goes to the distributed suffix
 of the whole length decide.
 
 Defined cases: null text is empty; documents are the rows, so repeated rows and repeated or null ids are documents of their
-own and copies of each other; strings are judged on the input and never cross rows; an empty table gives no rows.
-``docs`` must be read from files: rows are told apart by their place in the scan.
+own and copies of each other; strings are judged on the input and never cross rows; a very long text is handled alone, by one task;
+an empty table gives no rows; carried columns whose names clash with those of the result are left out.  Rows that are not plainly
+read from files are written out once, since rows are told apart by their place in the scan.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from pyspark.sql import functions as F
 
 from keyless.llm import kernels as K
 from keyless.llm import suffixes
-from keyless.llm.workspace import Workspace, table
+from keyless.llm.workspace import Workspace, settled, table
 
 U = np.uint64
 LENGTH = 200
@@ -145,6 +146,8 @@ def repeated_spans(docs: DataFrame, ws: Workspace, length: int = LENGTH, gram: i
     partial = whole_steps.unionAll(some_steps).groupBy("class").agg(F.collect_list(F.struct("a", "b")).alias("spans"))
     complete = classes.filter("copies > 1").select("class", F.array(F.struct(F.lit(0).alias("a"), (F.col("n") - 1).alias("b"))).alias("spans"))
     spans = ws.keep(complete.unionAll(partial), "spans")
+    for name in ("classes", "mixed", "members", "steps", "kinds", "cores", "undecided", "sort-runs", "decided"):
+        ws.drop(name)
     return blocks.select("class", "rid", "lo").join(spans, "class").groupBy("rid").agg(F.collect_list(F.struct("lo", "spans")).alias("places"))
 
 
@@ -181,7 +184,7 @@ def drop_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, keep_t
     ws = Workspace(docs.sparkSession, "dedup")
     own = ["n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text", "spans"]
     carry = [c for c in (docs.columns if carry is None else carry) if c.lower() not in own]
-    rows = docs.select(F.monotonically_increasing_id().alias("rid"), "text", F.struct(*carry).alias("row"))
+    rows = settled(docs, ws).select(F.monotonically_increasing_id().alias("rid"), "text", F.struct(*carry).alias("row"))
     places = repeated_spans(rows.select("rid", "text"), ws, length, gram)
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -8,10 +8,11 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLAB = 1 << 20
+SLAB = 1 << 18
 _BASE = 0x9E3779B97F4A7C15
 _POW = np.ones(1, np.uint64)
 _INV = np.ones(1, np.uint64)
+_LONG: tuple[np.ndarray, np.ndarray] | None = None
 U = np.uint64
 
 
@@ -52,16 +53,26 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U(31))
 
 
+def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
+    a = np.full(size, _BASE, np.uint64)
+    b = np.full(size, pow(_BASE, -1, 1 << 64), np.uint64)
+    a[0] = b[0] = 1
+    return np.multiply.accumulate(a, out=a), np.multiply.accumulate(b, out=b)
+
+
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of an odd base modulo 2^64 and of its inverse, at least up to n."""
-    global _POW, _INV
-    if len(_POW) <= n:
-        size = max(n + 1, SLAB + 4096)
-        a = np.full(size, _BASE, np.uint64)
-        b = np.full(size, pow(_BASE, -1, 1 << 64), np.uint64)
-        a[0] = b[0] = 1
-        _POW, _INV = np.multiply.accumulate(a), np.multiply.accumulate(b)
-    return _POW, _INV
+    """Powers of an odd base modulo 2^64 and of its inverse, at least up to n.
+
+    A worker keeps those for a slab; the longer ones of the latest long text stay until a shorter text follows."""
+    global _POW, _INV, _LONG
+    if len(_POW) < SLAB + 4096:
+        _POW, _INV = _powers(SLAB + 4096)
+    if n < len(_POW):
+        _LONG = None
+        return _POW, _INV
+    if _LONG is None or len(_LONG[0]) <= n:
+        _LONG = _powers(n + 1)
+    return _LONG
 
 
 #: Each byte value becomes a scattered 64-bit number, so that sums of powers do not meet by their small digits.
