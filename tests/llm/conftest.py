@@ -3,7 +3,7 @@ import pytest
 EDGE = [
     (0, None), (1, ""), (2, "a"), (3, "   \n\t "), (4, "one two three four"), (4, "one two three four"), (None, "x" * 450), (5, "é" * 300), (6, "aé" * 170 + "\n" + "aé" * 170),
     (7, " ".join(f"w{i}" for i in range(400))), (8, " ".join(f"w{i}" for i in range(400))), (9, " ".join(f"w{i}" for i in range(3, 400))), (10, "ab" * 120_000), (11, "\x00\x01 all rights reserved CC-BY cc/by General  Public\nLicense"),
-    (12, "\n".join(["the same line again and again"] * 40)), (13, "x" * 199), (14, "y" + "x" * 200), (15, "x" * 200 + "z"), (16, "don't  stop\r\n\r\n  now 中文 123,456"),
+    (12, "\n".join(["the same line again and again"] * 40)), (13, "x" * 199), (14, "y" + "x" * 200), (15, "x" * 200 + "z"), (17, "hello <|endoftext|> world"), (16, "don't  stop\r\n\r\n  now 中文 123,456"),
 ]
 
 

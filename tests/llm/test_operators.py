@@ -273,7 +273,6 @@ def token_ids(t):
 
     if not hasattr(token_ids, "t"):
         token_ids.t = Tokenizer.from_file(vocab.default_path(vocab.VOCAB))
-        token_ids.t.encode_special_tokens = True
     return token_ids.t.encode(t or "", add_special_tokens=False).ids + [2]
 
 
@@ -340,7 +339,7 @@ def test_token_files(spark, request, which):
 
 
 def test_pieces_are_the_library(spark):
-    e = vocab.PieceEncoder(vocab.default_path(vocab.VOCAB))
+    e = vocab.piece_encoder(vocab.default_path(vocab.VOCAB))
     rng = np.random.default_rng(6)
     alphabet = list("ab '\n\t    \x1c\x85s1!é中​﻿\x00\r　") + ["'s", "don't", " <|endoftext|>"]
     for _ in range(3000):
@@ -362,6 +361,33 @@ def test_resharding(spark, request, which):
     assert all(abs(sum(z for _, z in shards[j]) - total / 40) <= 4 * most for j in range(40))
 
 
+def test_shards_by_brute_force(spark, sf):
+    from pyspark.sql import functions as F
+
+    raw = F.encode(F.coalesce("text", F.lit("")), "UTF-8")
+    line = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", F.pmod(F.xxhash64("doc_id"), F.lit(resharding.OLD)).alias("old"), F.crc32(raw).alias("crc"), (F.octet_length(raw).cast("long") + 16).alias("size"))
+    lines = defaultdict(list)
+    for r in line.withColumn("block", F.pmod(F.xxhash64(F.col("doc_id"), F.col("crc"), F.lit(7)), F.lit(resharding.BLOCKS))).collect():
+        lines[r["old"]].append((r["block"], r["doc_id"], r["crc"], r["size"]))
+    old = [sum(x[3] for x in lines[s]) for s in range(max(lines) + 1)]
+    flow = resharding.cheapest_transfers(old, resharding.equal_shares(sum(old), 40))
+    want, moved = {}, 0
+    for s, docs in lines.items():
+        ends, at = [], 0
+        for j in sorted((j for i, j in flow if i == s), key=lambda j: (j != s, j)):
+            at += flow[s, j]
+            ends.append((at, j))
+        at = 0
+        for _, d, _, size in sorted(docs):
+            want[d] = next(j for end, j in ends if at < end)
+            moved += size * (want[d] != s)
+            at += size
+    have = got(spark, 9, sf)
+    assert {r["doc_id"]: r["shard"] for r in have} == want
+    least, most = sum(v for (i, j), v in flow.items() if i != j), max(r["size"] for r in have)
+    assert abs(moved - least) <= most * len(flow)
+
+
 def test_flow_moves_the_fewest_bytes():
     old, room = [100, 0, 50, 30], [60, 60, 60]
     flow = resharding.cheapest_transfers(old, room)
