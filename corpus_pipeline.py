@@ -1,4 +1,8 @@
-"""The training-data pipeline: quality rules, near duplicates, repeated passages, packing."""
+"""The training-data pipeline: quality rules, near duplicates, repeated passages, packing.
+
+Defined cases: a null or empty text fails the quality rules and goes; rows with one id, or none, are documents of their own; of repeated
+rows one stays; a very long text is one document throughout; an empty table stays empty in every stage; columns beyond those of
+documents pass through the first three stages unchanged, whatever their names."""
 
 from __future__ import annotations
 

@@ -24,10 +24,18 @@ def bloom_build(df: DataFrame, key: str, bits: int, hashes: int) -> DataFrame:
     return cells.groupBy(F.floor(F.col("bit") / 60).alias("word")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("bigint"), (F.col("bit") % 60).cast("int"))).alias("mask"))
 
 
-def bloom_maybe(df: DataFrame, key: str, bloom: DataFrame, bits: int, hashes: int, out: str = "maybe") -> DataFrame:
-    """All bits of a key are looked up at once: the filter as one array, broadcast (its size is ``bits``, checked)."""
-    if bits > 1 << 31:
-        raise ValueError("a filter this large is joined by word, not broadcast")
+#: Bits of a filter that goes to every task as one array of eight megabytes; a larger one is joined by word.
+BROADCAST_BITS = 1 << 26
+
+
+def bloom_maybe(df: DataFrame, key: str, bloom: DataFrame, bits: int, hashes: int, out: str = "maybe", by_word: bool | None = None) -> DataFrame:
+    """``df`` with a boolean: whether all bits of the key are set.  The filter goes to the rows as one array, or, where it is large, the
+    bits of the distinct keys go to its words."""
+    if bits > BROADCAST_BITS if by_word is None else by_word:
+        probe = df.select(F.col(key).alias("__key")).distinct().select("__key", F.explode(F.array(*[H.poly_hash(F.col("__key"), c, bits) for c in COEFFICIENTS[:hashes]])).alias("bit"))
+        met = probe.withColumn("word", F.floor(F.col("bit") / 60)).join(bloom, "word", "left")
+        is_set = F.call_function("shiftright", F.coalesce("mask", F.lit(0).cast("bigint")), (F.col("bit") % 60).cast("int")).bitwiseAND(F.lit(1)) == 1
+        return df.join(met.groupBy("__key").agg(F.bool_and(is_set).alias(out)), F.col(key) == F.col("__key"), "left").drop("__key")
     words = -(-bits // 60)
     whole = bloom.agg(F.map_from_entries(F.collect_list(F.struct("word", "mask"))).alias("m"))
     hit: Column = F.lit(True)
