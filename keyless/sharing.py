@@ -199,8 +199,7 @@ def lookup(df: DataFrame, store: Store, keys: list[str] | None = None, out: str
     for i in range(plan.k):
         j = F.col(f"__s{i}")
         total = total.bitwiseXOR(F.coalesce(F.call_function("shiftrightunsigned", F.try_element_at("words", F.floor(j / q).cast("int") + 1), (j % q * plan.width).cast("int")).bitwiseAND(F.lit((1 << min(plan.width, 63)) - 1)), F.lit(0).cast("bigint")))
-    # not deterministic to Catalyst, so that filters on the answer are not rewritten over the draws
-    got = rows.withColumn("__a", F.when((F.rand(0) * 2 >= 0) & F.col("d1").isNotNull(), total)).select("__own", "d1", "d2", F.col("status").alias("__status"), "__a")
+    got = S.once(rows, "__a", F.when(F.col("d1").isNotNull(), total)).select("__own", "d1", "d2", F.col("status").alias("__status"), "__a")
     if store.overflow is not None:
         got = S.lookup_digests(got, store.overflow, "__b").withColumn("__a", F.when(F.col("__status") == S.OVER, F.coalesce("__b", F.lit(0).cast("bigint"))).otherwise(F.col("__a")))
     return got.select("__own.*", F.when(F.col("d1").isNotNull(), store.decode(F.col("__a"))).alias(out))

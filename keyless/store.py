@@ -342,6 +342,12 @@ def _compensated(rows: DataFrame, keys: list[str], plan: Plan, blocks: int, n: i
     return Store(plan, keys, segments, blocks, n, second)
 
 
+def once(df: DataFrame, out: str, value: Column) -> DataFrame:
+    """``df`` and the value, out of a generator of one row: Catalyst leaves filters and join keys on it above, where they would otherwise be
+    rewritten over the draws and repeat them beyond compiled code, and still pushes filters on other columns below."""
+    return df.select("*", F.inline(F.array(F.struct(value.alias(out)))))
+
+
 def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
     """Answer of the segment that was joined to each row."""
     plan = store.plan
@@ -362,8 +368,7 @@ def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
         return F.call_function("shiftrightunsigned", F.try_element_at("words", F.floor(j / q).cast("int") + 1), (j % q * bits).cast("int")).bitwiseAND(F.lit(mask))
 
     seed = F.lit(plan.seed * 1000) + F.col("seed")
-    # not deterministic to Catalyst, so filters and join keys on the answer are not rewritten over the draws, which would repeat them beyond compiled code
-    good = (F.rand(0) * 2 >= 0) & (F.col("status") == GOOD) & F.col("d1").isNotNull()
+    good = (F.col("status") == GOOD) & F.col("d1").isNotNull()
     if plan.kind == "square":
         return _square_lookup(store, df, out, cell, seed, good)
     if plan.kind == "field":
@@ -377,7 +382,7 @@ def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
         total = F.lit(0).cast("bigint")
         for i, c in enumerate(cells):
             total = F.pmod(total + H.draw(H.FIELD, seed, i, plan.prime) * packed(c), F.lit(plan.prime))
-        return df.withColumn(out, F.when(good, total))
+        return once(df, out, F.when(good, total))
     df = H.slot_columns(df, plan.k, F.col("n_slots"), seed, prefix="__s", how="repeat" if plan.kind == "repeat" else "skip")
     total = None
     for i in range(plan.k):
@@ -385,7 +390,7 @@ def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
         total = x if total is None else total + x if plan.kind == "peel_add" else total.bitwiseXOR(x)
     if plan.kind == "peel_add":
         total = F.pmod(total, F.lit(1 << plan.width))
-    return df.withColumn(out, F.when(good, total))
+    return once(df, out, F.when(good, total))
 
 
 def _square_lookup(store: Store, df: DataFrame, out: str, cell: Callable, seed: Column, good: Column) -> DataFrame:
@@ -403,7 +408,7 @@ def _square_lookup(store: Store, df: DataFrame, out: str, cell: Callable, seed:
     slots = F.aggregate(draws, F.array().cast("array<bigint>"), lambda taken, x: F.array_append(taken, skip(taken, x)))
     df = df.withColumn("__slots", F.when(good, slots))
     value = F.aggregate(F.transform("__slots", cell), F.lit(0).cast("bigint"), lambda a, x: a.bitwiseXOR(x))
-    return df.withColumn(out, F.when(good, value)).drop("lo", "cuts")
+    return once(df, out, F.when(good, value)).drop("lo", "cuts")
 
 
 def lookup_digests(df: DataFrame, store: Store, out: str, mode: str = "auto") -> DataFrame:

@@ -115,6 +115,19 @@ def test_lookup_plans(spark):
     assert "ArrowEvalPython" not in with_shuffle
 
 
+def test_filters_of_other_columns_reach_the_scan(spark, sf):
+    orders = spark.read.parquet(f"{sf}/orders.parquet").select("o_orderkey", "o_custkey", "o_orderstatus")
+    st = S.build(orders, ["o_orderkey"], F.length("o_orderstatus"), S.Plan(width=3, block=64, headroom=0.05, tries=1))
+    assert st.overflow is not None
+    found = S.lookup(orders, st, out="v")
+    plan = found.filter("o_custkey = 3 and v = 1")._jdf.queryExecution().executedPlan().toString()
+    scans = [x for x in plan.splitlines() if "FileScan parquet" in x]
+    assert any("EqualTo(o_custkey,3)" in x for x in scans), plan
+    draws = lambda p: p.count("xxhash64")
+    assert draws(plan) <= draws(found._jdf.queryExecution().executedPlan().toString())
+    assert found.filter("o_custkey = 3 and v = 1").count() == orders.filter("o_custkey = 3").count()
+
+
 def test_empty_filter_accepts_nothing(spark):
     none = spark.createDataFrame([], "k long")
     assert M.maybe(spark.range(5).select(F.col("id").alias("k")), M.build_filter(none, ["k"], 4)).filter("maybe").count() == 0
