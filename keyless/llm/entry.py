@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from keyless.llm import bpe, dedup, jaccard, licenses, packing, quality, resharding, tokenfiles, vafile, warc
+from keyless.llm import bpe, dedup, jaccard, licenses, oracle, packing, quality, resharding, tokenfiles, vafile, warc
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -18,14 +18,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {
-        "op7_vector_approximation": """
-            WITH v AS (
-              SELECT vec_id, [floor(256 * x::DOUBLE) FOR x IN embedding] AS e FROM embeddings
-              WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len([x FOR x IN embedding IF x IS NULL OR NOT isfinite(x)]) = 0),
-            s AS (
-              SELECT q.vec_id AS query_id, c.vec_id, list_dot_product(q.e, c.e)::BIGINT AS score
-              FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 50 = 0),
-            r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s)
-            SELECT query_id, rank::INTEGER AS rank, vec_id, score FROM r WHERE rank <= 5""",
-    }
+    return dict(oracle.SQL)
