@@ -110,6 +110,110 @@ BY_HAND = [
     ("non-commercial", 4, "commercial|noncommercial", "for non ?commercial (?:use|purposes?)(?: only)?"),
     ("patent", 4, "patent", "patent (?:licen[sc]e|grant)"),
     ("attribution", 5, "attribution", "attribution (?:is )?required"),
+    ("bsd", 3, "contributors", "this software is provided by the (?:copyright holders?|regents|authors?) and contributors as is"),
+    ("bsd", 3, "redistributions", "redistributions (?:of source code|in binary form) must (?:retain|reproduce) the above copyright notice"),
+    ("isc", 3, "disclaims", "the author disclaims all warranties with regard to this software"),
+    ("apache-2.0", 3, "basis", "distributed on an as is basis without warranties or conditions of any kind"),
+    ("epl", 3, "accompanying", "this program and the accompanying materials are made available under the terms of the eclipse"),
+    ("lgpl", 3, "library", "this library is free software you can redistribute it and or modify it under the terms of the gnu (?:lesser|library) general public licen[sc]e"),
+    ("agpl", 3, "affero", "under the terms of the gnu affero general public licen[sc]e"),
+    ("gpl", 3, "gnu", "you should have received a copy of the gnu (?:lesser |library |affero )?general public licen[sc]e"),
+    ("gfdl", 3, "invariant", "with no invariant sections no front cover texts and no back cover texts"),
+    ("mpl", 3, "mpl", "if a copy of the mpl was not distributed with this file"),
+    ("mpl", 2, "mpl", "licen[sc]ed under (?:the )?mpl"),
+    ("cc0", 3, "waived", "waived all copyright and related (?:or|and) neighbou?ring rights"),
+    ("cc", 3, "creative", "this work is licen[sc]ed under a creative commons"),
+    ("boost", 3, "boost", "distributed under the boost software licen[sc]e"),
+    ("ofl", 3, "font", "reserved font names?"),
+    ("unlicense", 3, "dedication", "we make this dedication for the benefit of the public at large"),
+    ("hpnd", 2, "historical", "historical permission notice and disclaimer"),
+    ("hpnd", 3, "supporting", "both that copyright notice and this permission notice appear in supporting documentation"),
+    ("json", 2, "json", "json licen[sc]e"),
+    ("json", 3, "evil", "the software shall be used for good not evil"),
+    ("ms-rl", 2, "reciprocal", "microsoft reciprocal licen[sc]e"),
+    ("adobe", 2, "adobe", "adobe (?:glyph list |systems |source code )?licen[sc]e(?: agreement)?"),
+    ("aladdin", 2, "aladdin", "aladdin free public licen[sc]e"),
+    ("amazon", 2, "amazon", "amazon software licen[sc]e"),
+    ("apsl", 2, "apple", "apple public source licen[sc]e"),
+    ("apple-sample", 2, "apple", "apple (?:mit|sample code) licen[sc]e"),
+    ("bittorrent", 2, "bittorrent", "bittorrent open source licen[sc]e"),
+    ("blueoak", 2, "oak", "blue oak model licen[sc]e"),
+    ("bsd-patent", 1, "patent", "bsd (?:2 clause )?plus patent(?: licen[sc]e)?"),
+    ("bzip2", 2, "bzip2", "bzip2(?: and libbzip2)? licen[sc]e"),
+    ("catosl", 2, "trusted", "computer associates trusted open source licen[sc]e"),
+    ("cdla", 2, "community", "community data licen[sc]e agreement(?: (?:permissive|sharing))?"),
+    ("cnri", 2, "cnri", "cnri (?:open source )?(?:gpl compatible )?licen[sc]e(?: agreement)?"),
+    ("condor", 2, "condor", "condor public licen[sc]e"),
+    ("copyleft-next", 2, "copyleft", "copyleft next"),
+    ("cpal", 2, "attribution", "common public attribution licen[sc]e"),
+    ("cuda", 2, "computational", "computational use of data agreement"),
+    ("curl", 2, "curl", "curl licen[sc]e"),
+    ("dfsl", 2, "german|lizenz", "german free software licen[sc]e|deutsche freie software lizenz"),
+    ("dual", 4, "dual|dually", "(?:dual|dually) licen[sc]ed(?: under)?"),
+    ("ecl", 2, "educational", "educational community licen[sc]e"),
+    ("efl", 2, "eiffel", "eiffel forum licen[sc]e"),
+    ("entessa", 2, "entessa", "entessa public licen[sc]e"),
+    ("eula", 4, "eula|agreement", "end user licen[sc]e agreement(?: eula)?|eula"),
+    ("fair", 2, "fair", "fair (?:source )?licen[sc]e"),
+    ("frameworx", 2, "frameworx", "frameworx open licen[sc]e"),
+    ("freebsd-doc", 2, "freebsd", "freebsd documentation licen[sc]e"),
+    ("freeimage", 2, "freeimage", "freeimage public licen[sc]e"),
+    ("freetype", 2, "freetype", "(?:the )?freetype (?:project )?licen[sc]e"),
+    ("functional-source", 2, "functional", "functional source licen[sc]e"),
+    ("gemma", 2, "gemma", "gemma terms of use"),
+    ("gust", 2, "gust", "gust font (?:nosource )?licen[sc]e"),
+    ("hippocratic", 2, "hippocratic", "hippocratic licen[sc]e"),
+    ("ijg", 2, "jpeg", "independent jpeg group(?: licen[sc]e)?"),
+    ("imagemagick", 2, "imagemagick", "imagemagick licen[sc]e"),
+    ("info-zip", 2, "zip", "info zip licen[sc]e"),
+    ("intel", 2, "intel", "intel (?:open source|simplified software) licen[sc]e"),
+    ("ipa", 2, "ipa", "ipa font licen[sc]e"),
+    ("jasper", 2, "jasper", "jasper licen[sc]e"),
+    ("lal", 2, "libre|art", "licen[sc]e art libre|free art licen[sc]e"),
+    ("leptonica", 2, "leptonica", "leptonica licen[sc]e"),
+    ("llama", 2, "llama", "llama(?: \\d){0,2} community licen[sc]e(?: agreement)?"),
+    ("lppl", 2, "latex", "(?:the )?latex project public licen[sc]e"),
+    ("lucent", 2, "lucent", "lucent public licen[sc]e"),
+    ("miros", 2, "miros", "miros licen[sc]e"),
+    ("motosoto", 2, "motosoto", "motosoto open source licen[sc]e"),
+    ("mulan", 2, "mulan", "mulan (?:permissive software|public) licen[sc]e"),
+    ("nasa", 2, "nasa", "nasa open source agreement"),
+    ("naumen", 2, "naumen", "naumen public licen[sc]e"),
+    ("net-snmp", 2, "snmp", "net snmp licen[sc]e"),
+    ("nethack", 2, "nethack", "nethack general public licen[sc]e"),
+    ("nmap", 2, "nmap", "nmap public source licen[sc]e"),
+    ("nokia", 2, "nokia", "nokia open source licen[sc]e"),
+    ("npl", 2, "netscape", "netscape public licen[sc]e"),
+    ("oclc", 2, "oclc", "oclc research public licen[sc]e"),
+    ("ogl", 2, "government", "open government licen[sc]e"),
+    ("oldap", 2, "openldap", "(?:the )?openldap public licen[sc]e"),
+    ("openrail", 2, "rail|openrail", "(?:creativeml )?(?:open rail|openrail)(?: m)?(?: licen[sc]e)?"),
+    ("parity", 2, "parity", "parity public licen[sc]e"),
+    ("polyform", 2, "polyform", "polyform (?:noncommercial|small business|internal use|perimeter|shield|strict|free trial)(?: licen[sc]e)?"),
+    ("prosperity", 2, "prosperity", "prosperity public licen[sc]e"),
+    ("qhull", 2, "qhull", "qhull (?:licen[sc]e|copyright)"),
+    ("qpl", 2, "q", "q public licen[sc]e"),
+    ("rpl", 2, "reciprocal", "reciprocal public licen[sc]e"),
+    ("rpsl", 2, "realnetworks", "realnetworks public source licen[sc]e"),
+    ("sendmail", 2, "sendmail", "sendmail licen[sc]e"),
+    ("sgi-b", 2, "sgi", "sgi free software licen[sc]e(?: b)?"),
+    ("sissl", 2, "sun", "sun industry standards source licen[sc]e"),
+    ("sleepycat", 2, "sleepycat", "sleepycat licen[sc]e"),
+    ("sun", 2, "sun", "sun (?:public|microsystems inc binary code|binary code) licen[sc]e(?: agreement)?"),
+    ("tcl", 2, "tcl", "tcl tk licen[sc]e"),
+    ("ubuntu-font", 2, "ubuntu", "ubuntu font licen[sc]e"),
+    ("vim", 2, "vim", "vim licen[sc]e"),
+    ("vsl", 2, "vovida", "vovida software licen[sc]e"),
+    ("watcom", 2, "watcom", "sybase open watcom public licen[sc]e"),
+    ("xfree86", 2, "xfree86", "xfree86 licen[sc]e"),
+    ("zend", 2, "zend", "zend (?:engine )?licen[sc]e"),
+    ("zimbra", 2, "zimbra", "zimbra public licen[sc]e"),
+    ("zpl", 2, "zope", "zope public licen[sc]e"),
+    ("crown", 4, "crown", "crown copyright"),
+    ("patent", 4, "royalty", "worldwide non exclusive no charge royalty free(?: irrevocable)? (?:copyright|patent) licen[sc]e"),
+    ("no-warranty", 4, "merchantability", "warrant(?:y|ies) of merchantability(?: (?:and|or) fitness for a particular purpose)?"),
+    ("no-copying", 4, "copied|reproduced|redistributed", "may not be (?:copied|reproduced|redistributed)(?: \\S+){0,6}? without (?:the )?(?:prior |express )?(?:written )?permission"),
+    ("restricted-use", 5, "personal|educational|research|evaluation", "for (?:personal|educational|research|evaluation) (?:use|purposes) only"),
 ]
 
 
