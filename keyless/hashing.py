@@ -133,13 +133,18 @@ def portable_digest(column) -> Column:
     return F.conv(F.substring(F.md5(column), 1, 15), 16, 10).cast("bigint")
 
 
+def clip(n: int, log=np.log) -> tuple[int, int]:
+    """Least and largest weight of a row of a square system of n keys."""
+    return max(1, int(np.ceil(0.5 * log(n)))), min(n, int(4 * log(n)))
+
+
 def weight_cuts(n: int, log=np.log, rule: str = "inverse") -> tuple[int, np.ndarray]:
     """(least weight, cuts of the clipped binomial with chance 2 log n / n on 2^62): the weight of a draw is the least plus the
-    number of cuts at or below it.  ``midpoint`` moves each cut half a step down."""
+    number of cuts at or below it.  ``midpoint`` moves each cut half a step down; ``whole`` does not clip."""
     from math import lgamma, log as ln, log1p
 
     p = min(0.5, 2 * float(log(n)) / n)
-    lo, hi = max(1, int(np.ceil(0.5 * log(n)))), min(n, int(4 * log(n)))
+    lo, hi = clip(n, log) if rule != "whole" else (0, min(n, 2 * clip(n, log)[1]))
     mass = [np.exp(lgamma(n + 1) - lgamma(w + 1) - lgamma(n - w + 1) + w * ln(p) + (n - w) * log1p(-p)) for w in range(lo, hi + 1)]
     dist = np.cumsum(mass) / np.sum(mass)
     if rule == "midpoint":

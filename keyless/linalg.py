@@ -27,6 +27,24 @@ def eliminate(rows: list[list[int]], values: list[int] | None = None) -> tuple[d
     return pivots, True
 
 
+def row_sums(rows: list[list[int]]) -> int:
+    """Sums of two rows that the elimination takes; each costs a word for every 64 slots."""
+    pivots: dict[int, int] = {}
+    sums = 0
+    for cells in rows:
+        row = 0
+        for c in cells:
+            row ^= 1 << c
+        while row:
+            low = (row & -row).bit_length() - 1
+            if low not in pivots:
+                pivots[low] = row
+                break
+            row ^= pivots[low]
+            sums += 1
+    return sums
+
+
 def rank2(rows: list[list[int]]) -> int:
     pivots: dict[int, int] = {}
     for cells in rows:

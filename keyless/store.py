@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 
 from keyless import hashing as H
 from keyless import linalg as A
+from keyless import small
 
 SEGMENTS = "block long, n_keys int, n_slots int, seed int, status int, words array<long>, used array<long>, before array<int>, first long"
 EMPTY, GOOD, OVER = 0, 1, 2
@@ -44,8 +45,10 @@ class Plan:
     """How a store is built.
 
     kind: ``sparse`` rows of k distinct slots; ``square`` as many slots as keys and rows of about 2 log n; ``peel`` rows of k slots
-    solved in linear time; ``peel_add`` the same with addition modulo 2^width; ``repeat`` draws with repetition; ``field`` sums over the
-    prime field on sets ``kary``, ``two_runs`` or ``probe_run``.  weights: rule of the row weights of ``square``, see ``weight_cuts``."""
+    solved in linear time; ``peel_add`` the same with addition modulo 2^width; ``repeat`` draws with repetition; ``table`` rows of a few
+    slots in blocks so small that all their matrices stand in a table; ``field`` sums over the prime field on sets ``kary``, ``two_runs``,
+    ``probe_run`` or ``ring``, two runs that wrap around exactly as many cells as keys.  weights: rule of the row weights of ``square``, see
+    ``weight_cuts``; with ``whole`` a key whose weight is outside the clip gives any value."""
 
     width: int = 8
     k: int = 4
@@ -71,7 +74,7 @@ class Plan:
     def slots_for(self, n: int) -> int:
         if not n:
             return 0
-        if self.kind == "square":
+        if self.kind == "square" or self.sets == "ring":
             return n
         base = self.block * (1 + self.headroom) if self.equal_segments else n
         extra = 2 * self.run if self.kind == "field" and self.sets != "kary" else 0
@@ -114,14 +117,18 @@ def entries(plan: Plan, d1: np.ndarray, d2: np.ndarray, n: np.ndarray, m: np.nda
     for size in np.unique(n).tolist():
         at = np.flatnonzero(n == size)
         weight[at] = H.np_weights(d1[at], d2[at], max(size, 3), seed, plan.weights)
+        if plan.weights == "whole":
+            # a key outside the clip has no row, so its block is drawn anew
+            least, most = H.clip(max(size, 3))
+            weight[at] = np.where((weight[at] < least) | (weight[at] > most), 0, weight[at])
     weight = np.minimum(weight, m)
     keys, cells = [], []
     # keys of one weight are drawn together
-    for w in np.unique(weight).tolist():
+    for w in np.unique(weight[weight > 0]).tolist():
         at = np.flatnonzero(weight == w)
         keys.append(np.repeat(at, w))
         cells.append(H.np_slots(d1[at], d2[at], w, m[at], seed).ravel())
-    return np.concatenate(keys), np.concatenate(cells)
+    return np.concatenate([np.zeros(0, np.int64), *keys]), np.concatenate([np.zeros(0, np.int64), *cells])
 
 
 def field_rows(plan: Plan, d1: np.ndarray, d2: np.ndarray, m: int, seed: int) -> list[dict[int, int]]:
@@ -140,6 +147,9 @@ def field_rows(plan: Plan, d1: np.ndarray, d2: np.ndarray, m: int, seed: int) ->
 def field_cells(plan: Plan, d1: np.ndarray, d2: np.ndarray, m: int, seed: int) -> np.ndarray:
     if plan.sets == "kary":
         return H.np_slots(d1, d2, plan.k, m, seed)
+    if plan.sets == "ring":
+        starts = [H.np_draw(H.RUN, seed, i, d1, d2, m) for i in range(2)]
+        return np.concatenate([(s[:, None] + np.arange(plan.run)) % m for s in starts], 1)
     starts = [H.np_draw(H.RUN, seed, i, d1, d2, m - plan.run + 1) for i in range(2 if plan.sets == "two_runs" else 1)]
     return np.concatenate([s[:, None] + np.arange(plan.run) for s in starts], 1)
 
@@ -169,7 +179,7 @@ def solve_blocks(plan: Plan, parts: list[Part]) -> list[tuple[int, int, int, lis
     size = {}
     for i, (d1, _, _) in enumerate(parts):
         m = plan.slots_for(len(d1))
-        if plan.headroom and len(d1) > (1 + plan.headroom) * plan.block or m < plan.k:
+        if plan.headroom and len(d1) > (1 + plan.headroom) * plan.block or m < plan.k and plan.sets != "ring":
             out[i] = (m if plan.equal_segments else 0), 0, OVER, [], []
         else:
             size[i] = m
@@ -200,6 +210,9 @@ def _solve_some(plan: Plan, parts: list[Part], sizes: list[int], seed: int) -> I
             got = A.peel_solve(H.np_slots(d1, d2, plan.k, m, seed).tolist(), values.tolist(), m, "xor" if plan.kind == "peel" else "add", 1 << plan.width)
             yield None if got is None else (got, list(range(m)))
         return
+    if plan.kind == "table":
+        yield from small.solve(plan, parts, sizes[0], seed)
+        return
     if plan.kind == "field":
         for (d1, d2, values), m in zip(parts, sizes):
             yield A.solve_field(field_rows(plan, d1, d2, m, seed), values.tolist(), m, plan.prime)
@@ -376,9 +389,13 @@ def read_slots(store: Store, df: DataFrame, out: str) -> DataFrame:
             df = H.slot_columns(df, plan.k, F.col("n_slots"), seed, prefix="__s")
             cells = [F.col(f"__s{i}") for i in range(plan.k)]
         else:
-            starts = [H.draw(H.RUN, seed, i, F.greatest(F.col("n_slots") - plan.run + 1, F.lit(1))) for i in range(2 if plan.sets == "two_runs" else 1)]
+            ring = plan.sets == "ring"
+            size = F.greatest(F.col("n_slots") - (0 if ring else plan.run - 1), F.lit(1))
+            starts = [H.draw(H.RUN, seed, i, size) for i in range(1 if plan.sets == "probe_run" else 2)]
             df = df.withColumns({f"__r{i}": s for i, s in enumerate(starts)})
             cells = [F.col(f"__r{i}") + j for i in range(len(starts)) for j in range(plan.run)]
+            if ring:
+                cells = [F.pmod(c, size.cast("bigint")) for c in cells]
         total = F.lit(0).cast("bigint")
         for i, c in enumerate(cells):
             total = F.pmod(total + H.draw(H.FIELD, seed, i, plan.prime) * packed(c), F.lit(plan.prime))
@@ -400,15 +417,17 @@ def _square_lookup(store: Store, df: DataFrame, out: str, cell: Callable, seed:
     tables = {n: H.weight_cuts(max(n, 3), rule=store.plan.weights) for n in sizes}
     u = H.draw(H.WEIGHT, seed, 0, 2**62)
     spark = df.sparkSession
-    cut_rows = spark.createDataFrame([(int(n), int(lo), [int(x) for x in cuts]) for n, (lo, cuts) in tables.items()], "n_keys int, lo int, cuts array<long>")
+    cut_rows = spark.createDataFrame([(int(n), int(lo), [int(x) for x in cuts], *H.clip(max(n, 3))) for n, (lo, cuts) in tables.items()], "n_keys int, lo int, cuts array<long>, least int, most int")
     df = df.join(F.broadcast(cut_rows), "n_keys", "left").withColumn("__u", u)
-    df = df.withColumn("__w", F.least(F.col("lo") + F.size(F.filter("cuts", lambda c: c <= F.col("__u"))), F.col("n_slots")))
+    drawn = F.col("lo") + F.size(F.filter("cuts", lambda c: c <= F.col("__u")))
+    df = df.withColumn("__clipped", ~drawn.between(F.col("least"), F.col("most"))).withColumn("__w", F.least(drawn, F.col("n_slots")))
     draws = F.transform(F.sequence(F.lit(0), F.greatest(F.col("__w"), F.lit(1)) - 1), lambda i: F.pmod(F.xxhash64(F.lit(H.SLOT).cast("bigint"), seed.cast("bigint"), i.cast("bigint"), F.col("d1"), F.col("d2")), F.greatest(F.col("n_slots") - i, F.lit(1)).cast("bigint")))
     skip = lambda taken, x: F.aggregate(F.array_sort(taken), x, lambda g, t: g + (t <= g).cast("bigint"))
     slots = F.aggregate(draws, F.array().cast("array<bigint>"), lambda taken, x: F.array_append(taken, skip(taken, x)))
-    df = df.withColumn("__slots", F.when(good, slots))
+    df = df.withColumn("__slots", F.when(good & ~F.col("__clipped"), slots))
     value = F.aggregate(F.transform("__slots", cell), F.lit(0).cast("bigint"), lambda a, x: a.bitwiseXOR(x))
-    return once(df, out, F.when(good, value)).drop("lo", "cuts")
+    # a weight outside the clip is that of no key of the block: any value will do
+    return once(df, out, F.when(good, F.coalesce(value, F.lit(0).cast("bigint")))).drop("lo", "cuts", "least", "most")
 
 
 def lookup_digests(df: DataFrame, store: Store, out: str, mode: str = "auto") -> DataFrame:
@@ -533,6 +552,6 @@ def stored_bits(store: Store) -> int:
 def reads(store: Store) -> tuple[int, bool]:
     """(slots read by a lookup at most, whether they depend on what was read before)."""
     p = store.plan
-    own = {"square": min(p.slots_for(2 * p.block), int(4 * math.log(max(p.block, 3)))), "field": p.k if p.sets == "kary" else p.run * (2 if p.sets == "two_runs" else 1)}.get(p.kind, p.k)
+    own = {"square": min(p.slots_for(2 * p.block), int(4 * math.log(max(p.block, 3)))), "field": p.k if p.sets == "kary" else p.run * (1 if p.sets == "probe_run" else 2)}.get(p.kind, p.k)
     second = store.overflow.plan.k if store.overflow is not None else 0
     return own + second, p.compressed or bool(second) and p.combine == "flag"
