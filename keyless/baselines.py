@@ -37,12 +37,13 @@ def bloom_maybe(df: DataFrame, key: str, bloom: DataFrame, bits: int, hashes: in
         is_set = F.call_function("shiftright", F.coalesce("mask", F.lit(0).cast("bigint")), (F.col("bit") % 60).cast("int")).bitwiseAND(F.lit(1)) == 1
         return df.join(met.groupBy("__key").agg(F.bool_and(is_set).alias(out)), F.col(key) == F.col("__key"), "left").drop("__key")
     words = -(-bits // 60)
-    whole = bloom.agg(F.map_from_entries(F.collect_list(F.struct("word", "mask"))).alias("m"))
+    # every word has a row, so the words in order are the array
+    filled = df.sparkSession.range(words).select(F.col("id").alias("word")).join(bloom, "word", "left").select("word", F.coalesce("mask", F.lit(0).cast("bigint")).alias("mask"))
+    arr = filled.agg(F.transform(F.array_sort(F.collect_list(F.struct("word", "mask"))), lambda x: x["mask"]).alias("a"))
     hit: Column = F.lit(True)
     for c in COEFFICIENTS[:hashes]:
         bit = H.poly_hash(F.col(key), c, bits)
         hit = hit & F.coalesce(F.call_function("shiftright", F.try_element_at("a", F.floor(bit / 60).cast("int") + 1), (bit % 60).cast("int")).bitwiseAND(F.lit(1)) == 1, F.lit(False))
-    arr = whole.select(F.transform(F.sequence(F.lit(0), F.lit(words - 1)), lambda i: F.coalesce(F.try_element_at("m", i.cast("bigint")), F.lit(0).cast("bigint"))).alias("a"))
     return df.join(F.broadcast(arr)).withColumn(out, hit).drop("a")  # one row
 
 
