@@ -1,6 +1,6 @@
 """Streams over the events table as queries: each runs over all there is and returns what it wrote.
 
-A result with a row an event goes to files; windows, which are few, go to a table in memory."""
+A result that grows with the events goes to files, sessions too; windows of fixed places, which are few, go to a table in memory."""
 
 from __future__ import annotations
 
@@ -34,6 +34,18 @@ def to_table(spark, stream: DataFrame) -> DataFrame:
     return spark.table(name)
 
 
+def to_last_files(spark, stream: DataFrame, name: str) -> DataFrame:
+    """All rows of the result after the last batch, each batch written by the executors."""
+    path, done = scratch(spark, name), []
+
+    def write(batch: DataFrame, epoch: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}-out/{epoch}")
+        done.append(epoch)
+
+    stream.writeStream.foreachBatch(write).option("checkpointLocation", f"{path}-state").outputMode("complete").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}-out/{done[-1]}") if done else spark.createDataFrame([], stream.schema)
+
+
 @query("SELECT event_id, event_type AS v FROM events")
 def stream_lookup(spark, sf_dir):
     """A stream probes a store that was built before."""
@@ -63,7 +75,7 @@ def stream_slide(spark, sf_dir):
 
 @query("WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, count(*)::BIGINT AS n FROM s GROUP BY user_id, k")
 def stream_session(spark, sf_dir):
-    return to_table(spark, streaming.sessions(events(spark, sf_dir), "ts", "6 hours", "1 day", "user_id")).select("user_id", "n")
+    return to_last_files(spark, streaming.sessions(events(spark, sf_dir), "ts", "6 hours", "1 day", "user_id"), "stream-session").select("user_id", "n")
 
 
 @query("SELECT a.event_id AS first, b.event_id AS second FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'view' AND b.event_type = 'click'")
