@@ -5,8 +5,8 @@ of the cells alone gives bounds of every score and keeps what can still reach th
 read, a join by row: first those with the k highest upper bounds of each query, after that only those whose upper bound reaches
 the k-th exact score found so far, so the result is certain.
 
-Queries are packed in blocks of bounded size, and blocks of queries meet blocks of cells on the executors, by groups of cell
-blocks; nothing but the ranges of the components reaches the driver.
+Queries are packed in blocks of bounded size.  Blocks of cells are dealt to groups on the executors, every block of queries is sent to every group
+and streamed past it; nothing but the ranges of the components reaches the driver.
 
 Defined cases: vectors that are null, or hold a null or non-finite component, and rows with a null id take no part; a shorter
 vector counts as filled with zeros; of queries with one id the first by content is asked; candidates of the query's own id
@@ -33,8 +33,11 @@ CELLS = 256
 BLOCK = 4096
 SLICE = 1024
 QUERIES = 1024
-#: Blocks of queries whose k best lower bounds a task remembers; more only cost candidates.
-REMEMBERED = 64
+#: Blocks of cells or queries in an Arrow batch, blocks of cells in a group, and candidates that a task holds back until it has all bounds of a
+#: block of queries; more are given out earlier.
+ROWS = 32
+GROUP = 64
+HELD = 1 << 20
 EXACT = "rid long, vec_id long, exact binary"
 CELL_FILE = "block long, vec_ids binary, rids binary, cells binary"
 QUERY_FILE = "query_block long, query_ids binary, vectors binary"
@@ -130,44 +133,77 @@ def cell_file(exact: DataFrame, lo: np.ndarray, step: np.ndarray, cells: int = C
     return exact.mapInArrow(run, CELL_FILE)
 
 
-def query_file(asked: DataFrame, width: int, block: int = QUERIES) -> DataFrame:
+def query_type(lo: np.ndarray, hi: np.ndarray) -> np.dtype:
+    """The least type that holds every value exactly."""
+    least, most = lo.min(initial=0), hi.max(initial=0)
+    return next((np.dtype(t) for t in (np.int16, np.int32) if np.iinfo(t).min <= least and most <= np.iinfo(t).max), np.dtype(np.float64))
+
+
+def query_file(asked: DataFrame, width: int, kind: np.dtype, block: int = QUERIES) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for number, rows in _blocks(batches, block):
-            vectors = b"".join(matrix(x, width).tobytes() for x in rows.column("exact").chunks)
+            vectors = b"".join(matrix(x, width).astype(kind).tobytes() for x in rows.column("exact").chunks)
             yield pa.RecordBatch.from_pydict({"query_block": [number], "query_ids": [np.asarray(rows.column("query_id"), np.int64).tobytes()], "vectors": [vectors]})
 
     return asked.select("query_id", "exact").mapInArrow(run, QUERY_FILE)
 
 
-def bounded(pairs: DataFrame, lo: np.ndarray, step: np.ndarray, k: int) -> DataFrame:
-    """What can be among the k best of its query, by the cells alone.  ``pairs``: a block of queries beside a block of cells."""
+def visits(cells: DataFrame, packed: DataFrame, groups: int) -> DataFrame:
+    """A group of blocks of cells, then every block of queries, and so on: what was dealt is streamed, and no copy of the queries is ever a side of
+    a join that could be taken for small."""
+    group = F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int")
+    own = cells.select(group.alias("group"), F.lit(0).alias("part"), F.col("vec_ids").alias("ids"), "rids", F.col("cells").alias("data"))
+    asking = packed.select(F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("group"), F.lit(1).alias("part"), F.col("query_ids").alias("ids"), F.lit(b"").alias("rids"), F.col("vectors").alias("data"))
+    return own.unionAll(asking).repartition(groups, "group").sortWithinPartitions("group", "part")
+
+
+def bounded(dealt: DataFrame, lo: np.ndarray, step: np.ndarray, k: int, kind: np.dtype) -> DataFrame:
+    """What can be among the k best of its query, by the cells alone.  ``dealt``: see ``visits``."""
     width, names = len(lo), [x.split(" ")[0] for x in FOUND.split(", ")]
 
+    def found(q_ids: np.ndarray, q: np.ndarray, cells: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+        spread = (np.abs(q) * (step / 2)).sum(1)
+        top, held, n = np.full((len(q), k), -np.inf), [], 0
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            who, rid, x = (np.concatenate(c) for c in zip(*held))
+            keep = x + spread[who] >= top.min(1)[who]
+            who, rid, x = who[keep], rid[keep], x[keep]
+            if len(who):
+                yield pa.RecordBatch.from_arrays([pa.array(q_ids[who]), pa.array(rid), pa.array(x - spread[who]), pa.array(x + spread[who])], names=names)
+
+        for ids, rids, codes in cells:
+            for at in range(0, len(codes), SLICE):
+                near = q @ (lo + (codes[at : at + SLICE] + 0.5) * step).T
+                near[q_ids[:, None] == ids[None, at : at + SLICE]] = -np.inf
+                better = np.flatnonzero(near.max(1) - spread > top.min(1))
+                if len(better):
+                    lower = np.concatenate([near[better] - spread[better, None], top[better]], 1)
+                    top[better] = np.partition(lower, lower.shape[1] - k, 1)[:, -k:]
+                # a bound of no candidate stays below every one of a candidate
+                who, which = np.nonzero((near >= (top.min(1) - spread)[:, None]) & (near > -np.inf))
+                if len(who):
+                    held.append((who, rids[at + which], near[who, which]))
+                    n += len(who)
+                if n > HELD:
+                    yield from flush()
+                    held, n = [], 0
+        if held:
+            yield from flush()
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best: dict[int, np.ndarray] = {}
+        group, cells = None, []
         for batch in batches:
-            for number, q_ids, q, ids, rids, codes in zip(batch.column(0).to_pylist(), *[batch.column(i) for i in range(1, 6)]):
-                q_ids, ids, rids = (np.frombuffer(x.as_buffer(), np.int64) for x in (q_ids, ids, rids))
-                q = np.frombuffer(q.as_buffer(), np.float64).reshape(-1, width)
-                codes = np.frombuffer(codes.as_buffer(), np.uint8).reshape(-1, width)
-                spread = (np.abs(q) * (step / 2)).sum(1)[:, None]
-                top = best.pop(number, None)
-                top = np.full((len(q), k), -np.inf) if top is None else top
-                for at in range(0, len(codes), SLICE):
-                    near = q @ (lo + (codes[at : at + SLICE] + 0.5) * step).T
-                    near[q_ids[:, None] == ids[None, at : at + SLICE]] = -np.inf
-                    lower = np.concatenate([near - spread, top], 1)
-                    top = np.partition(lower, lower.shape[1] - k, 1)[:, -k:]
-                    # a bound of no candidate stays below every one of a candidate
-                    who, which = np.nonzero((near + spread >= top.min(1)[:, None]) & (near > -np.inf))
-                    if len(who):
-                        x = near[who, which]
-                        yield pa.RecordBatch.from_arrays([pa.array(q_ids[who]), pa.array(rids[at + which]), pa.array(x - spread[who, 0]), pa.array(x + spread[who, 0])], names=names)
-                best[number] = top
-                if len(best) > REMEMBERED:
-                    del best[next(iter(best))]
-
-    return pairs.select("query_block", "query_ids", "vectors", "vec_ids", "rids", "cells").mapInArrow(run, FOUND)
+            for g, part, ids, rids, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), *[batch.column(i) for i in range(2, 5)]):
+                if g != group:
+                    group, cells = g, []
+                ids = np.frombuffer(ids.as_py(), np.int64)
+                if part:
+                    yield from found(ids, np.frombuffer(data.as_py(), kind).reshape(-1, width).astype(np.float64), cells)
+                else:
+                    cells.append((ids, np.frombuffer(rids.as_py(), np.int64), np.frombuffer(data.as_py(), np.uint8).reshape(-1, width)))
+
+    return dealt.select("group", "part", "ids", "rids", "data").mapInArrow(run, FOUND)
 
 
 def scores(chosen: DataFrame, exact: DataFrame, asked: DataFrame) -> DataFrame:
@@ -194,12 +230,12 @@ def top_k(vectors: DataFrame, is_query, k: int = 5, cells: int = CELLS, block: i
     step = cell_step(lo, hi, cells)
     cells_ = ws.keep(cell_file(exact, lo, step, cells, block), "cells")
     asked = ws.keep(exact.filter(is_query).groupBy(F.col("vec_id").alias("query_id")).agg(F.min("exact").alias("exact")), "asked")
-    packed = ws.keep(query_file(asked, len(lo), queries), "queries")
+    kind = query_type(lo, hi)
+    packed = ws.keep(query_file(asked, len(lo), kind, queries), "queries")
     # cell blocks are dealt to groups; every block of queries visits every group
     n_blocks = cells_.count()
-    groups = max(1, min(n_blocks, max(int(spark.conf.get("spark.sql.shuffle.partitions")), n_blocks // 64)))
-    visits = packed.withColumn("group", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
-    found = ws.keep(bounded(cells_.withColumn("group", F.pmod(F.xxhash64("block"), F.lit(groups)).cast("int")).join(visits, "group"), lo, step, k), "found")
+    groups = max(1, min(-(-n_blocks // 2), int(spark.conf.get("spark.sql.shuffle.partitions"))), n_blocks // GROUP)
+    found = ws.keep(bounded(visits(cells_, packed, groups), lo, step, k, kind), "found", batch=ROWS)
     by_query = Window.partitionBy("query_id")
     floors = found.withColumn("nth", F.row_number().over(by_query.orderBy(F.col("lower").desc()))).filter(F.col("nth") <= k).groupBy("query_id").agg(F.min("lower").alias("floor"), F.count("*").alias("n")).filter(F.col("n") == k)
     left = ws.keep(found.join(floors, "query_id", "left").filter("floor is null or upper >= floor").withColumn("nth", F.row_number().over(by_query.orderBy(F.col("upper").desc(), "rid"))).select("query_id", "rid", "upper", "nth"), "left")
