@@ -2,6 +2,9 @@
 
 import time
 
+import numpy as np
+import pytest
+
 from keyless import linalg as A
 
 
@@ -31,3 +34,25 @@ def test_large_system_is_not_cubic_in_its_keys():
     got = A.solve_lazy(rows, values, m, 5)
     assert time.monotonic() - began < 30
     holds(rows, values, *got, m)
+
+
+def test_sums_of_written_slots_are_taken_in_stripes():
+    rng, m, n = np.random.default_rng(2), 200, 300
+    written = [sorted(rng.choice(m + j, min(m + j, int(rng.integers(0, 7))), replace=False).tolist()) for j in range(n)]
+    dense = [sorted(rng.choice(m + n, 9, replace=False).tolist()) for _ in range(40)]
+    given, wanted = rng.integers(0, 1 << 60, n).tolist(), rng.integers(0, 1 << 60, 40).tolist()
+    plain = [(1 << j, 0) for j in range(m)]
+
+    def total(cells, value):
+        bits = 0
+        for x in cells:
+            bits, value = bits ^ plain[x][0], value ^ plain[x][1]
+        return bits, value
+
+    for cells, v in zip(written, given):
+        plain.append(total(cells, v))
+    for stripe in (1, 3, 64):
+        with pytest.MonkeyPatch.context() as patch:
+            patch.setattr(A, "STRIPE", stripe)
+            got = A._in_terms_of(m, written, dense, given, wanted).tolist()
+        assert [(sum(w << 64 * i for i, w in enumerate(r[:-1])), r[-1]) for r in got] == [total(c, v) for c, v in zip(dense, wanted)]
